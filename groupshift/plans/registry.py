@@ -19,7 +19,7 @@ from groupshift.operators import groups as gr
 from groupshift.sources import panels, simulate
 from groupshift.sources.tables import TABLES, table
 
-from . import experiments
+from . import cost, experiments
 from . import oracles as o
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -760,7 +760,7 @@ def _(spark, sf):
 
 
 @query("sql_functions", f"""WITH {o.NATION_WEEK}, p AS (SELECT series_id, t, sum(x) OVER (PARTITION BY series_id ORDER BY t) AS pref, sum(x) OVER (PARTITION BY series_id) AS tot FROM raw)
-    SELECT series_id, round((100 * tot - 343 * pref) / sqrt(343.0 * 100 * 243), 4) AS c, round(1 + sqrt(4 * ln(5 * 343) / 5), 6) AS lam, 0.6 AS loss FROM p WHERE t = 100""")
+    SELECT series_id, round((100 * tot - 343 * pref) / sqrt(343.0 * 100 * 243), 4) AS c, round(1 + sqrt(4 * ln(5 * 343) / 5), 6) AS lam, 0.6::DOUBLE AS loss FROM p WHERE t = 100""")
 def _(spark, sf):
     sqlfuncs.register(spark)
     cu.prefix(panels.nation_week(spark, sf)).createOrReplaceTempView("gs_prefix")
@@ -838,3 +838,9 @@ def entry(spark: SparkSession, sf: str = "/root/testdata/sf0.001") -> DataFrame:
     groups = gr.from_table(table(spark, sf, "supplier").select("s_suppkey", F.expr("s_suppkey div 2").alias("g")), "s_suppkey", "g")
     panel, _ = panels.plant(scale.standardised(panels.supplier_week(spark, sf)), groups, [panels.Step(Z, CHOSEN, SIZE)])
     return single.detect_single(relax.work_table(panel, "panel"), groups).point
+
+
+@query("cost_report")
+def _(spark, sf):
+    panel, groups, _ = supplier_planted(spark, sf)
+    return cost.cost_report(spark, lambda: single.detect_single(panel, groups).point, "single_supplier_week")
