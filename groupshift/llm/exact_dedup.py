@@ -39,6 +39,7 @@ def exact_dedup(
     keys = work_table(
         rows.select("id", F.length("norm").alias("len"), F.xxhash64(F.substring("norm", 1, prefix_chars)).alias("head")),
         "refinement_keys",
+        scan=True,
     )
     # Step 1: lengths that occur more than once. There are no more lengths than the longest text has characters.
     lengths = keys.groupBy("len").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("len")

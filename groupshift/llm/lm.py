@@ -187,7 +187,7 @@ def score_documents(docs: DataFrame, model: Model, counts: DataFrame, held_out:
                 yield pa.RecordBatch.from_arrays([*cut, *made], names=["uid", "doc_id", "held_out", *out])
 
     fields = "uid long, doc_id long, held_out boolean, n long, known long, base double, model double, tail array<binary>"
-    part = work_table(rows.select("uid", "doc_id", "held_out", "text").mapInArrow(run, fields), "scores")
+    part = work_table(rows.select("uid", "doc_id", "held_out", "text").mapInArrow(run, fields), "scores", scan=True)
     tail = part.select("uid", F.explode("tail").alias("w"))
     known = tail.join(counts.select(F.col("word"), "c"), F.col("w") == F.col("word"), "left").select("uid", F.coalesce("c", F.lit(0)).alias("c"))
     sums = known.groupBy(F.col("uid").alias("tuid")).agg(

@@ -5,8 +5,10 @@ symbols that differ. The first symbols are split into chunks. By the pigeonhole
 within distance 2 * chunks - 1 agree in some chunk up to one error, so every chunk is indexed once for each place
 that the error may have, with that place left out: all pairs within that distance share a key.
 
-Sharing a key asks for a check, not for a list of all pairs. First every key's members are checked against its
-smallest one and linked sets become components; then only members of one key in different components are compared.
+Sharing a key asks for a check, not for a list of all pairs. In a few rounds every key's members are checked against
+one of them, and linked sets become components. Members of one key that are still apart and look alike then meet in
+the task of the key's commonest component, where an index of their shingles gives all intersections at once: rows are
+made for sets, never for pairs of them.
 """
 
 from __future__ import annotations
@@ -23,9 +25,11 @@ SYMBOLS = 128
 CHUNKS = 10
 CHUNK = 4
 #: Of SYMBOLS, at least so many agree in any pair that is to be confirmed: at a similarity of 0.75 the expected
-#: number is 96 with a deviation of 4.9, so that a pair falls below this with a probability of about 1e-7.
-LEAST_AGREE = 69
-BROADCAST_ROWS = 2_000_000
+#: number is 96 with a deviation of 4.9, so that a pair falls below this with a probability of about 3e-6.
+LEAST_AGREE = 74
+#: Rounds after the first in which a key's members are checked against one of them only, before all that are apart are compared.
+ROUNDS = 1
+BROADCAST_ROWS = 1_000_000
 BLOCK = 4096
 
 
@@ -33,7 +37,7 @@ class _Hashes(dict):
     def __missing__(self, word):
         import xxhash
 
-        if len(self) > 400_000:
+        if len(self) > 150_000:
             self.clear()
         found = self[word] = xxhash.xxh3_64_intdigest(word)
         return found
@@ -152,12 +156,11 @@ def _plausible(pairs: DataFrame, sets: DataFrame, share: tuple[int, int]) -> Dat
     return both.mapInArrow(run, "a long, b long")
 
 
-def _confirmed(pairs: DataFrame, sets: DataFrame, docs: DataFrame, share: tuple[int, int], words: int, broadcast_rows: int) -> DataFrame:
-    """The pairs whose full shingle sets have intersection / union of share or more. Sets are built anew for those asked for."""
-    asked = pairs.select(F.explode(F.array("a", "b")).alias("node")).distinct()
-    wanted = work_table(asked.join(sets.select("node", "set_id", "first_doc"), "node"), "asked")
-    ids = wanted.select(F.col("first_doc").alias("rid")).distinct()
-    if wanted.count() <= broadcast_rows:
+def _full_sets(nodes: DataFrame, most: int, sets: DataFrame, docs: DataFrame, words: int, broadcast_rows: int) -> DataFrame:
+    """(node, hashes) for the nodes asked for, most rows of them, built anew from their texts."""
+    wanted = work_table(nodes.select("node").distinct().join(sets.select("node", "set_id", "first_doc"), "node"), "asked", most)
+    ids, n = wanted.select(F.col("first_doc").alias("rid")).distinct(), wanted.count()
+    if n <= broadcast_rows:
         ids, wanted = F.broadcast(ids), F.broadcast(wanted)
     rows = docs.select("doc_id", "text").join(ids, F.col("doc_id").eqNullSafe(F.col("rid")), "left_semi")
 
@@ -167,14 +170,17 @@ def _confirmed(pairs: DataFrame, sets: DataFrame, docs: DataFrame, share: tuple[
         for batch in batches:
             texts = batch.column("text")
             for at in range(0, len(texts), 1024):
-                made = [shingle_set(t, words) for t in texts.slice(at, 1024).to_pylist()]
-                data = [s.tobytes() for s in made]
+                data = [shingle_set(t, words).tobytes() for t in texts.slice(at, 1024).to_pylist()]
                 keys = [hashlib.blake2b(d, digest_size=16).digest() for d in data]
                 yield pa.RecordBatch.from_arrays([pa.array(keys, pa.binary()), pa.array(data, pa.binary())], names=["built_id", "hashes"])
 
     built = rows.mapInArrow(build, "built_id binary, hashes binary")
     full = built.join(wanted, F.col("built_id") == F.col("set_id")).select("node", "hashes")
-    full = work_table(full.groupBy("node").agg(F.first("hashes").alias("hashes")), "full_sets")
+    return work_table(full.groupBy("node").agg(F.first("hashes").alias("hashes")), "full_sets", n, 10_000)
+
+
+def _confirmed(pairs: DataFrame, n: int, full: DataFrame, share: tuple[int, int]) -> DataFrame:
+    """The pairs, n of them, whose full shingle sets have intersection / union of share or more."""
     both = (
         pairs.join(full.select(F.col("node").alias("b"), F.col("hashes").alias("set_b")), "b")
         .join(full.select(F.col("node").alias("a"), F.col("hashes").alias("set_a")), "a")
@@ -193,7 +199,7 @@ def _confirmed(pairs: DataFrame, sets: DataFrame, docs: DataFrame, share: tuple[
                 keep.append(share[1] * common >= share[0] * (len(x) + len(y) - common))
             yield batch.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
-    return work_table(both.mapInArrow(confirm, "a long, b long"), "links")
+    return work_table(both.mapInArrow(confirm, "a long, b long"), "links", n, 50_000)
 
 
 def components(links: DataFrame) -> DataFrame:
@@ -203,7 +209,7 @@ def components(links: DataFrame) -> DataFrame:
     Neighbours' minima are summed before the exchange, so a node with very many links is no single task.
     """
     edges = links.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u > v").distinct()
-    seen = None
+    seen, n = None, links.count()
     while True:
         both = edges.unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
         least = both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"))
@@ -211,7 +217,7 @@ def components(links: DataFrame) -> DataFrame:
         least = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(least, "u").select("u", "v", "m")
         small = small.select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(small.select("u", F.col("m").alias("v")))
-        edges = work_table(small.where("u > v").distinct(), "edges")
+        edges = work_table(small.where("u > v").distinct(), "edges", n)
         now = tuple(edges.agg(F.count(F.lit(1)), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first())
         if now == seen:
             break
@@ -219,65 +225,136 @@ def components(links: DataFrame) -> DataFrame:
     return edges.select(F.col("u").alias("node"), F.col("v").alias("label"))
 
 
-def _residual(sets: DataFrame, labels: DataFrame, share: tuple[int, int]) -> DataFrame:
-    """Pairs (a, b) of one key in different components that pass the checks of size and signature.
+def _labelled(keys: DataFrame, labels: DataFrame) -> DataFrame:
+    named = keys.join(labels.withColumnRenamed("node", "lnode"), F.col("node") == F.col("lnode"), "left")
+    return named.select("key", "node", F.coalesce("label", "node").alias("label"))
+
 
-    Keys of two members are done. A key's members are dealt into blocks of about BLOCK; a task compares two blocks.
+def _mixed(keys: DataFrame) -> DataFrame:
+    """(k, members, hub) of the keys of three or more members in different components; hub is the commonest of these.
+
+    Two members are compared in the first round.
     """
-    keys = _keys(sets).join(labels.withColumnRenamed("node", "lnode"), F.col("node") == F.col("lnode"), "left")
-    keys = keys.select("key", "node", F.coalesce("label", "node").alias("label"))
-    mixed = keys.groupBy(F.col("key").alias("k")).agg(F.count(F.lit(1)).alias("members"), F.min("label").alias("lo"), F.max("label").alias("hi"))
-    mixed = mixed.where("members > 2 and lo < hi").select("k", F.ceil(F.col("members") / BLOCK).cast("int").alias("blocks"))
+    counts = keys.groupBy(F.col("key").alias("k"), "label").agg(F.count(F.lit(1)).alias("c"))
+    stats = counts.groupBy("k").agg(F.sum("c").alias("members"), F.count(F.lit(1)).alias("labels"), F.max(F.struct("c", (-F.col("label")).alias("back"))).alias("top"))
+    return stats.where("members > 2 and labels > 1").select("k", "members", (-F.col("top.back")).alias("hub"))
+
+
+def _stars(keys: DataFrame, turn: int) -> DataFrame:
+    """Pairs (a, b) of a key's members with one of them, another for each key and turn, where components differ."""
+    order = F.xxhash64("node", "key", F.lit(turn))
+    heads = keys.groupBy(F.col("key").alias("k")).agg(F.min(F.struct(order.alias("o"), "node", "label")).alias("head"))
+    apart = keys.join(heads, F.col("key") == F.col("k")).where(F.col("label") != F.col("head.label"))
+    return apart.select(F.least("node", "head.node").alias("a"), F.greatest("node", "head.node").alias("b")).distinct()
+
+
+def _lookalikes(keys: DataFrame, sets: DataFrame, share: tuple[int, int]) -> DataFrame:
+    """(hub, node, label): nodes with a lookalike, by size and signature, of another component under one key.
+
+    keys is (key, node, label). A key's members are dealt into blocks of about BLOCK; a task compares two blocks.
+    """
+    mixed = _mixed(keys).select("k", "hub", F.ceil(F.col("members") / BLOCK).cast("int").alias("blocks"))
     rows = keys.join(mixed, F.col("key") == F.col("k")).join(sets.select(F.col("node").alias("snode"), "n", "sig"), F.col("node") == F.col("snode"))
-    own = F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int")
-    rows = rows.select("key", "node", "label", "n", "sig", own.alias("own"), F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other"))
-    rows = rows.withColumns({"i": F.least("own", "other"), "j": F.greatest("own", "other")})
+    rows = _dealt(rows, "key").select("key", "i", "j", "own", "node", "label", "n", "sig", "hub")
 
     def compare(batches):
         import numpy as np
         import pyarrow as pa
-        from itertools import groupby
-
-        def members():
-            for batch in batches:
-                cols = [batch.column(c).to_pylist() for c in ("key", "i", "j", "own", "node", "label", "n", "sig")]
-                yield from zip(*cols, strict=True)
-
-        done: set[tuple[int, int]] = set()
-        a_out, b_out = [], []
-        for (_, i, j), group in groupby(members(), key=lambda r: r[:3]):
-            group = list(group)
-            left = [r for r in group if r[3] == i]
-            right = left if i == j else [r for r in group if r[3] == j]
-            if len({r[5] for r in group}) < 2 or not left or not right:
-                continue
-            arrays = []
-            for side in (left, right):
-                arrays.append([np.array([r[4] for r in side]), np.array([r[5] for r in side]), np.array([r[6] for r in side]), np.frombuffer(b"".join(r[7] for r in side), "<u2").reshape(len(side), SYMBOLS)])
-            (nl, ll, cl, sl), (nr, lr, cr, sr) = arrays
-            for at in range(0, len(nl), 64):
-                stop = slice(at, at + 64)
-                ok = (ll[stop, None] != lr) & (np.minimum(cl[stop, None], cr) * share[1] >= np.maximum(cl[stop, None], cr) * share[0])
-                x, y = np.nonzero(ok)
-                for part in range(0, len(x), 65536):
-                    xs, ys = x[part : part + 65536], y[part : part + 65536]
-                    close = (sl[stop][xs] == sr[ys]).sum(1) >= LEAST_AGREE
-                    for p, q in zip(nl[stop][xs[close]].tolist(), nr[ys[close]].tolist(), strict=True):
-                        pair = (p, q) if p < q else (q, p)
-                        if pair not in done:
-                            if len(done) > 500_000:
-                                done.clear()
-                            done.add(pair)
-                            a_out.append(pair[0])
-                            b_out.append(pair[1])
-            if len(a_out) > 50_000:
-                yield pa.RecordBatch.from_arrays([pa.array(a_out, pa.int64()), pa.array(b_out, pa.int64())], names=["a", "b"])
-                a_out, b_out = [], []
-        yield pa.RecordBatch.from_arrays([pa.array(a_out, pa.int64()), pa.array(b_out, pa.int64())], names=["a", "b"])
-
-    columns = ["key", "i", "j", "own", "node", "label", "n", "sig"]
-    dealt = rows.select(*columns).repartition("key", "i", "j").sortWithinPartitions("key", "i", "j")
-    return dealt.mapInArrow(compare, "a long, b long").distinct()
+
+        schema = pa.schema([("hub", pa.int64()), ("node", pa.int64()), ("label", pa.int64())])
+        for group in _groups(batches):
+            node, label, hub = (np.array([r[k] for r in group]) for k in (4, 5, 8))
+            n, sig = np.array([r[6] for r in group]), np.frombuffer(b"".join(r[7] for r in group), "<u2").reshape(-1, SYMBOLS)
+            left, right = _sides(group)
+            like = np.zeros(len(group), bool)
+            for at in range(0, len(left), 64):
+                x, y = left[at : at + 64, None], right[None, :]
+                ok = (label[x] != label[y]) & (np.minimum(n[x], n[y]) * share[1] >= np.maximum(n[x], n[y]) * share[0]) & ~(like[x] & like[y])
+                i, j = np.nonzero(ok)
+                for part in range(0, len(i), 65536):
+                    a, b = left[at + i[part : part + 65536]], right[j[part : part + 65536]]
+                    close = (sig[a] == sig[b]).sum(1) >= LEAST_AGREE
+                    like[a[close]] = like[b[close]] = True
+            yield pa.RecordBatch.from_arrays([pa.array(v[like], pa.int64()) for v in (hub, node, label)], schema=schema)
+
+    return rows.repartition("key", "i", "j").sortWithinPartitions("key", "i", "j").mapInArrow(compare, "hub long, node long, label long").distinct()
+
+
+def _dealt(rows: DataFrame, key: str) -> DataFrame:
+    """Rows of a key in blocks, once for each pair (i, j) of blocks that theirs (own) belongs to."""
+    own = F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int")
+    rows = rows.withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    return rows.withColumns({"i": F.least("own", "other"), "j": F.greatest("own", "other")}).drop("other")
+
+
+def _groups(batches):
+    """Lists of rows with the same first three columns, of sorted batches."""
+    from itertools import groupby
+
+    def rows():
+        for batch in batches:
+            yield from zip(*(c.to_pylist() for c in batch.columns), strict=True)
+
+    for _, group in groupby(rows(), key=lambda r: r[:3]):
+        yield list(group)
+
+
+def _sides(group):
+    """Places of the rows of block i, and of block j, for rows (key, i, j, own, ..)."""
+    import numpy as np
+
+    own = np.array([r[3] for r in group])
+    return np.flatnonzero(own == group[0][1]), np.flatnonzero(own == group[0][2])
+
+
+def _hub_links(alike: DataFrame, full: DataFrame, share: tuple[int, int]) -> DataFrame:
+    """Links among the nodes of each hub, enough to connect all that are linked, by an index of their full sets.
+
+    Every node that is not of the hub's own component asks the index for its intersection with all others.
+    """
+    sizes = alike.groupBy(F.col("hub").alias("h")).agg(F.ceil(F.count(F.lit(1)) / BLOCK).cast("int").alias("blocks"))
+    rows = alike.join(sizes, F.col("hub") == F.col("h")).join(full.select(F.col("node").alias("fnode"), "hashes"), F.col("node") == F.col("fnode"))
+    rows = _dealt(rows, "hub").select("hub", "i", "j", "own", "node", "label", "hashes")
+
+    def link(batches):
+        import numpy as np
+        import pyarrow as pa
+
+        for group in _groups(batches):
+            sets = [np.frombuffer(r[6], np.uint64) for r in group]
+            size, label = np.array([len(x) for x in sets]), np.array([r[5] for r in group])
+            every = np.concatenate(sets)
+            owner = np.repeat(np.arange(len(sets)), size)
+            order = np.argsort(every, kind="stable")
+            every, owner = every[order], owner[order]
+            left, right = _sides(group)
+            within = [np.zeros(len(group), bool), np.zeros(len(group), bool)]
+            within[0][left], within[1][right] = True, True
+            parent = {}
+
+            def root(x):
+                while parent.get(x, x) != x:
+                    x = parent[x]
+                return x
+
+            a, b = [], []
+            for x in np.flatnonzero(label != group[0][0]):
+                lo, hi = np.searchsorted(every, sets[x], "left"), np.searchsorted(every, sets[x], "right")
+                total = hi - lo
+                at = np.repeat(lo - np.cumsum(total) + total, total) + np.arange(total.sum())
+                common = np.bincount(owner[at], minlength=len(group))
+                other = (within[1] if within[0][x] else within[0]) | (within[0] if within[1][x] else within[1])
+                near = (label != label[x]) & other & (share[1] * common >= share[0] * (size + size[x] - common))
+                for y in np.flatnonzero(near):
+                    p, q = root(int(label[x])), root(int(label[y]))
+                    if p != q:
+                        parent[max(p, q)] = min(p, q)
+                        a.append(min(group[x][4], group[y][4]))
+                        b.append(max(group[x][4], group[y][4]))
+            yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], names=["a", "b"])
+
+    dealt = rows.repartition("hub", "i", "j").sortWithinPartitions("hub", "i", "j")
+    return work_table(dealt.mapInArrow(link, "a long, b long"), "links")
 
 
 def near_duplicates(docs: DataFrame, share: tuple[int, int] = (75, 100), words: int = WORDS, broadcast_rows: int = BROADCAST_ROWS) -> DataFrame:
@@ -288,7 +365,7 @@ def near_duplicates(docs: DataFrame, share: tuple[int, int] = (75, 100), words:
     text has an empty set and is linked with nothing. A null doc_id is larger than any other. Rows with equal sets
     share a component, rows that repeat a doc_id included. Texts are read whole. An empty table gives no rows.
     """
-    rows = work_table(_sketched(docs, words), "sketches")
+    rows = work_table(_sketched(docs, words), "sketches", scan=True)
     # Equal sets are one node; copies need no comparing. Partial sums come first, whatever the number of copies.
     sets = rows.where("set_id is not null").groupBy("set_id").agg(F.min("doc_id").alias("first_doc"), F.first("n").alias("n"), F.first("sig").alias("sig"))
     sets = work_table(sets.withColumn("node", F.monotonically_increasing_id()), "sets")
@@ -296,13 +373,29 @@ def near_duplicates(docs: DataFrame, share: tuple[int, int] = (75, 100), words:
     heads = keys.groupBy(F.col("key").alias("k")).agg(F.min("node").alias("a"), F.max("node").alias("last")).where("a < last")
     stars = keys.join(heads, F.col("key") == F.col("k")).where("node > a").select("a", F.col("node").alias("b")).distinct()
     tried = work_table(_plausible(stars, sets, share), "stars")
-    links = _confirmed(tried, sets, docs, share, words, broadcast_rows)
+    build = lambda nodes, most: _full_sets(nodes, most, sets, docs, words, broadcast_rows)
+
+    def confirmed(pairs):
+        n = pairs.count()
+        return _confirmed(pairs, n, build(pairs.select(F.explode(F.array("a", "b")).alias("node")), 2 * n), share)
+
+    links = confirmed(tried)
     labels = components(links)
-    rest = work_table(_residual(sets, labels, share).join(tried, ["a", "b"], "left_anti"), "rest")
-    if not rest.isEmpty():
-        more = _confirmed(rest, sets, docs, share, words, broadcast_rows)
-        if not more.isEmpty():
-            labels = components(links.unionByName(more))
+    # Only keys whose members are in different components matter from here on.
+    keys = _labelled(keys, labels)
+    for turn in range(ROUNDS + 1):
+        keys = work_table(keys.join(_mixed(keys), F.col("key") == F.col("k"), "left_semi"), "apart")
+        if keys.isEmpty():
+            break
+        if turn < ROUNDS:
+            found = confirmed(work_table(_plausible(_stars(keys, turn), sets, share), "more_pairs"))
+        else:
+            alike = work_table(_lookalikes(keys, sets, share), "alike")
+            found = _hub_links(alike, build(alike, alike.count()), share)
+        if not found.isEmpty():
+            links = links.unionByName(found)
+            labels = components(links)
+            keys = _labelled(keys.select("key", "node"), labels)
     named = sets.join(labels.withColumnRenamed("node", "lnode"), F.col("node") == F.col("lnode"), "left")
     named = named.select("set_id", "first_doc", F.coalesce("label", "node").alias("label"))
     least = named.groupBy(F.col("label").alias("l")).agg(F.min("first_doc").alias("component"))

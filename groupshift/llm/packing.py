@@ -163,7 +163,7 @@ def pack(
         for at in range(0, len(left), 4096):
             yield _batch(left[at : at + 4096], emit_ids)
 
-    placed = work_table(docs.select("doc_id", "text").mapInArrow(first, PIECE), "pieces")
+    placed = work_table(docs.select("doc_id", "text").mapInArrow(first, PIECE), "pieces", scan=True)
     left = placed.where("sequence_id is null")
     total = left.agg(F.sum("length")).first()[0] or 0
     groups = -(-total // merge_tokens)

@@ -17,7 +17,7 @@ from pyspark.sql import functions as F
 
 from .common import work_table
 
-BROADCAST_ROWS = 2_000_000
+BROADCAST_ROWS = 1_000_000
 
 
 @dataclass(frozen=True)
@@ -206,7 +206,7 @@ def find_secrets(
     grams = sorted(set().union(*map(trigrams_of, indexed.values())) if indexed else set())
     rows = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text"))
     if indexed:
-        postings = work_table(build_index(docs, grams), "postings")
+        postings = work_table(build_index(docs, grams), "postings", scan=True)
         may = work_table(candidates(postings, indexed, grams), "candidates").withColumnRenamed("doc_id", "cid")
         if may.count() <= broadcast_rows:
             may = F.broadcast(may)
