@@ -31,6 +31,8 @@ LEAST_AGREE = 74
 ROUNDS = 1
 BROADCAST_ROWS = 1_000_000
 BLOCK = 4096
+#: Shingles of the sets that meet in a hub's task, from each of its two blocks: 32 MB.
+BLOCK_HASHES = 4_000_000
 
 
 class _Hashes(dict):
@@ -249,7 +251,7 @@ def _stars(keys: DataFrame, turn: int) -> DataFrame:
 
 
 def _lookalikes(keys: DataFrame, sets: DataFrame, share: tuple[int, int]) -> DataFrame:
-    """(hub, node, label): nodes with a lookalike, by size and signature, of another component under one key.
+    """(hub, node, label, n): nodes with a lookalike, by size and signature, of another component under one key.
 
     keys is (key, node, label). A key's members are dealt into blocks of about BLOCK; a task compares two blocks.
     """
@@ -261,7 +263,7 @@ def _lookalikes(keys: DataFrame, sets: DataFrame, share: tuple[int, int]) -> Dat
         import numpy as np
         import pyarrow as pa
 
-        schema = pa.schema([("hub", pa.int64()), ("node", pa.int64()), ("label", pa.int64())])
+        schema = pa.schema([(name, pa.int64()) for name in ("hub", "node", "label", "n")])
         for group in _groups(batches):
             node, label, hub = (np.array([r[k] for r in group]) for k in (4, 5, 8))
             n, sig = np.array([r[6] for r in group]), np.frombuffer(b"".join(r[7] for r in group), "<u2").reshape(-1, SYMBOLS)
@@ -275,9 +277,9 @@ def _lookalikes(keys: DataFrame, sets: DataFrame, share: tuple[int, int]) -> Dat
                     a, b = left[at + i[part : part + 65536]], right[j[part : part + 65536]]
                     close = (sig[a] == sig[b]).sum(1) >= LEAST_AGREE
                     like[a[close]] = like[b[close]] = True
-            yield pa.RecordBatch.from_arrays([pa.array(v[like], pa.int64()) for v in (hub, node, label)], schema=schema)
+            yield pa.RecordBatch.from_arrays([pa.array(v[like], pa.int64()) for v in (hub, node, label, n)], schema=schema)
 
-    return rows.repartition("key", "i", "j").sortWithinPartitions("key", "i", "j").mapInArrow(compare, "hub long, node long, label long").distinct()
+    return rows.repartition("key", "i", "j").sortWithinPartitions("key", "i", "j").mapInArrow(compare, "hub long, node long, label long, n long").distinct()
 
 
 def _dealt(rows: DataFrame, key: str) -> DataFrame:
@@ -312,7 +314,8 @@ def _hub_links(alike: DataFrame, full: DataFrame, share: tuple[int, int]) -> Dat
 
     Every node that is not of the hub's own component asks the index for its intersection with all others.
     """
-    sizes = alike.groupBy(F.col("hub").alias("h")).agg(F.ceil(F.count(F.lit(1)) / BLOCK).cast("int").alias("blocks"))
+    blocks = F.ceil(F.greatest(F.count(F.lit(1)) / BLOCK, F.sum("n") / BLOCK_HASHES)).cast("int")
+    sizes = alike.groupBy(F.col("hub").alias("h")).agg(blocks.alias("blocks"))
     rows = alike.join(sizes, F.col("hub") == F.col("h")).join(full.select(F.col("node").alias("fnode"), "hashes"), F.col("node") == F.col("fnode"))
     rows = _dealt(rows, "hub").select("hub", "i", "j", "own", "node", "label", "hashes")
 
