@@ -77,7 +77,43 @@ QUERIES = {f.__name__: f for f in (op1_warc, op2_packing, op3_secrets, op4_mixin
 
 _WORDS = r"[^\x20\x09-\x0D]+"
 
+
+
+def _secret_sql() -> str:
+    """Each rule's matches in order, and where they start: the lengths of what lies between and of the matches before."""
+    quote = lambda p: p.replace("'", "''")
+    rules = [
+        f"""SELECT doc_id, {rank} AS rank, '{r.kind}' AS kind, i, gaps, hits, length(held[i]) >= {r.least} AS fits FROM (
+                SELECT doc_id, string_split_regex(text, '{quote(r.pattern)}') AS gaps, regexp_extract_all(text, '{quote(r.pattern)}') AS hits,
+                       regexp_extract_all(text, '{quote(r.pattern)}', {r.group}) AS held FROM d WHERE regexp_matches(text, '{quote(r.pattern)}')),
+                range(1, len(hits) + 1) AS g(i)"""
+        for rank, r in enumerate(secrets.BASE + secrets.EXTRA)
+    ]
+    return f"""
+        WITH d AS (SELECT doc_id, coalesce(text, '') AS text FROM documents),
+        m AS ({" UNION ALL ".join(rules)}),
+        p AS (SELECT doc_id, rank, kind, list_sum(list_transform(gaps[1:i], lambda x: length(x))) + coalesce(list_sum(list_transform(hits[1:i-1], lambda x: length(x))), 0) AS start,
+                     length(hits[i]) AS size FROM m WHERE fits),
+        s AS (SELECT *, kind || ':' || start::BIGINT || ':' || (start + size)::BIGINT AS span FROM p)
+        SELECT d.doc_id, count(*) FILTER (kind = 'assign') AS n_assign, count(*) FILTER (kind = 'access') AS n_access, count(*) FILTER (kind = 'hex') AS n_hex,
+               sha256(coalesce(string_agg(span, ',' ORDER BY start, rank) FILTER (rank < {len(secrets.BASE)}), '')) AS base_sha256,
+               coalesce(string_agg(span, ',' ORDER BY start, rank), '') AS spans
+        FROM d LEFT JOIN s ON d.doc_id = s.doc_id GROUP BY d.doc_id"""
+
+
 ORACLE_SQL = {
+    "op3_secrets": _secret_sql(),
+    "op5_chat": r"""
+        WITH t AS (SELECT conv_id, turn, coalesce(role, '') AS role, coalesce(text, '') AS text FROM conversations
+                   UNION ALL SELECT -7, i, r, '\### Assistant: </turn> ok' FROM (VALUES (0, 'user'), (1, 'assistant')) AS x(i, r)),
+        e AS (SELECT *, length('### : </turn>') + 1 + length(role) + length(text) + length(text) - length(replace(text, '\', ''))
+                     + len(list_filter(range(1, length(text)), lambda i: substr(text, i, 3) = '###'))
+                     + (length(text) - length(replace(text, '</turn>', ''))) // 7 AS chars FROM t)
+        SELECT conv_id, count(*) AS n_turns, sha256(string_agg(role || chr(10) || text || chr(10), '' ORDER BY turn)) AS turns_sha256,
+               coalesce(sum(length(text)) FILTER (role = 'assistant'), 0)::BIGINT AS loss_chars,
+               sha256(coalesce(string_agg(text, '' ORDER BY turn) FILTER (role = 'assistant'), '')) AS loss_sha256,
+               sum(chars)::BIGINT AS formatted_chars
+        FROM e GROUP BY conv_id""",
     "op1_warc": """
         WITH p AS (
             SELECT page_id, coalesce(html, '') AS payload, octet_length(encode(coalesce(html, '')))::BIGINT AS payload_bytes,
