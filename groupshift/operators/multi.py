@@ -11,7 +11,6 @@ from groupshift import kernels
 
 from . import relax
 from . import cusum as cu
-from . import groups as gr
 from .intervals import draw_intervals
 from .single import level
 
@@ -81,8 +80,7 @@ def _distributed(c: DataFrame, groups: DataFrame, intervals: DataFrame, lam: flo
     if stat == "l2":
         curve = c.groupBy("q", "t").agg(F.sqrt(F.sum(F.col("cusum") * F.col("cusum"))).alias("size"))
     else:
-        sized = groups.join(gr.sizes(groups), "group_id")
-        joined = c.join(F.broadcast(sized), "series_id")
+        joined = c.join(relax.sized_groups(groups), "series_id")
         norms = joined.groupBy("q", "group_id", "t").agg(F.sqrt(F.sum(F.col("cusum") * F.col("cusum"))).alias("norm"), F.first("p_g").alias("p_g"))
         norms = norms.where(F.col("norm") > lam * F.sqrt("p_g")).select("q", "group_id", "t", (1 - lam * F.sqrt("p_g") / F.col("norm")).alias("f"))
         m = relax.work_table(joined.join(norms, ["q", "group_id", "t"]).select("q", "series_id", "t", (F.col("cusum") * F.col("f")).alias("m")), "interval_shrunk")

@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from . import direction
 from .groups import sizes
 
 
@@ -53,3 +54,15 @@ def restrict(m: DataFrame, series: DataFrame | None = None, first: int | None =
     if last is not None:
         m = m.where(F.col("t") <= last)
     return m if series is None else m.join(series.select("series_id"), "series_id", "left_semi")
+
+
+def spectral(columns: DataFrame) -> DataFrame:
+    """One row (operator, nuclear) of a matrix in column blocks, from the Gram matrix of its active series (4096 at most)."""
+    import numpy as np
+
+    ids = direction.active_series(columns)
+    if len(ids) > direction.GRAM_SERIES:
+        raise ValueError(f"{len(ids)} active series are more than {direction.GRAM_SERIES}")
+    gram = direction._gram(columns.select("ids", "vec"), columns.sparkSession.sparkContext.broadcast(ids)) if ids else np.zeros((1, 1))
+    values = np.sqrt(np.maximum(np.linalg.eigvalsh(gram), 0))
+    return columns.sparkSession.createDataFrame([(float(values.max()), float(values.sum()))], "operator double, nuclear double")

@@ -33,9 +33,19 @@ def work_table(df: DataFrame, name: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+#: Most rows of a grouping that go to every executor, about 24 bytes each.
+BROADCAST_ROWS = 2_000_000
+
+
+def sized_groups(groups: DataFrame) -> DataFrame:
+    """(group_id, series_id, p_g), broadcast where a count shows that it is small."""
+    sized = groups.join(sizes(groups), "group_id")
+    return F.broadcast(sized) if groups.count() <= BROADCAST_ROWS else sized
+
+
 def to_blocks(c: DataFrame, groups: DataFrame, value: str = "cusum") -> DataFrame:
     """(group_id, t, p_g, ids, vec) from long rows: the one exchange that turns rows of series into columns."""
-    joined = c.join(F.broadcast(groups.join(sizes(groups), "group_id")), "series_id")
+    joined = c.join(sized_groups(groups), "series_id")
     pairs = F.sort_array(F.collect_list(F.struct("series_id", F.col(value).alias("x"))))
     grouped = joined.groupBy("group_id", "t", "p_g").agg(pairs.alias("pairs"))
     return grouped.select("group_id", "t", "p_g", F.col("pairs.series_id").alias("ids"), F.col("pairs.x").alias("vec"))

@@ -5,18 +5,24 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from .relax import work_table
+
 
 def asof_segment(times: DataFrame, changes: DataFrame) -> DataFrame:
-    """Adds segment: how many changes z lie before t. A union and a window over time find the last one; no join.
-
-    times may have many rows a time; only its distinct times meet in the window.
-    """
-    marks = changes.select(F.col("z").alias("t")).distinct()
-    points = times.select("t").distinct()
-    both = points.select("t", F.lit(0).alias("mark")).unionByName(marks.select((F.col("t") + 1).alias("t"), F.lit(1).alias("mark")))
-    order = Window.orderBy("t").rangeBetween(Window.unboundedPreceding, Window.currentRow)
-    named = both.withColumn("segment", F.sum("mark").over(order)).where("mark = 0").select("t", F.col("segment").cast("int").alias("segment"))
-    return times.join(named, "t")
+    """Adds segment: how many changes z lie before t. The changes, few beside the times, are one array on one broadcast row."""
+    marks = changes.agg(F.sort_array(F.collect_set("z")).alias("_z"))
+    before = F.size(F.filter("_z", lambda z: z < F.col("t")))
+    return times.join(F.broadcast(marks)).withColumn("segment", before.cast("int")).drop("_z")
+
+
+def numbered(df: DataFrame, order: str, name: str = "t") -> DataFrame:
+    """Adds the 1-based place of each row in the order of a column without ties, by ranges instead of one sorted task."""
+    dealt = work_table(df.repartitionByRange(F.col(order)).withColumn("_p", F.spark_partition_id()), "ranges")
+    offsets = dealt.groupBy("_p").agg(F.count(F.lit(1)).alias("_n"))  # a row for each range
+    before = Window.orderBy("_p").rowsBetween(Window.unboundedPreceding, -1)
+    offsets = offsets.select("_p", F.coalesce(F.sum("_n").over(before), F.lit(0)).alias("_o"))
+    inner = F.row_number().over(Window.partitionBy("_p").orderBy(order))
+    return dealt.withColumn("_r", inner).join(offsets, "_p").withColumn(name, (F.col("_o") + F.col("_r")).cast("long")).drop("_p", "_r", "_o")
 
 
 def segment_means(panel: DataFrame, changes: DataFrame) -> DataFrame:

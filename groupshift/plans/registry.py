@@ -488,6 +488,11 @@ def _(spark, sf):
     return rounded(norms.frobenius(a).join(norms.inner(a, b)), 4, "frobenius", "inner")
 
 
+@query("spectral_norms")
+def _(spark, sf):
+    return rounded(norms.spectral(relax.columns_of(cu.cusum(supplier_planted(spark, sf)[0]))), 4, "operator", "nuclear")
+
+
 @query("restrict", f"WITH {o.NATION_WEEK} SELECT series_id, t, x FROM raw WHERE t BETWEEN 50 AND 60 AND series_id IN (SELECT n_nationkey FROM nation WHERE n_regionkey = 2)")
 def _(spark, sf):
     some = table(spark, sf, "nation").where("n_regionkey = 2").select(F.col("n_nationkey").cast("long").alias("series_id"))

@@ -9,6 +9,8 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import Window
 
+from groupshift.operators.relops import numbered
+
 from .tables import table
 
 #: Money is summed as decimals, so that sums don't depend on the order of rows.
@@ -70,7 +72,7 @@ def event_hour(spark: SparkSession, sf: str, hours: int = 720, what: str = "coun
     events = table(spark, sf, "events").select("ts", "user_id", "event_type", "value")
     types = events.select("event_type").distinct().withColumn("type_no", F.row_number().over(Window.orderBy("event_type")) - 1)
     t = (F.floor(F.expr("timestampdiff(SECOND, timestamp_ntz'2024-01-01 00:00:00', ts)") / 3600) + 1).cast("long")
-    rows = events.withColumn("t", t).where(F.col("t").between(1, hours)).join(F.broadcast(types), "event_type")
+    rows = events.withColumn("t", t).where(F.col("t").between(1, hours)).join(types, "event_type")
     series = (F.col("type_no") * 10 + F.pmod("user_id", F.lit(10))).cast("long")
     value = F.count(F.lit(1)).cast("double") if what == "count" else F.sum(F.col("value").cast(MONEY)).cast("double")
     cells = rows.groupBy(series.alias("series_id"), "t").agg(value.alias("x"))
@@ -111,8 +113,7 @@ def chat_stats(spark: SparkSession, sf: str) -> DataFrame:
     per = rows.groupBy("conv_id").pivot("role", ["user", "assistant"]).agg(F.count(F.lit(1)).alias("n"), F.avg(F.length("text")).alias("mean"), F.max(F.length("text")).alias("most"))
     names = [f"{role}_{k}" for role in ("user", "assistant") for k in ("n", "mean", "most")]
     pairs = F.array(*[F.struct(F.lit(i).cast("long").alias("series_id"), F.coalesce(F.col(k), F.lit(0)).cast("double").alias("x")) for i, k in enumerate(names)])
-    t = F.row_number().over(Window.orderBy("conv_id")).cast("long")
-    return per.withColumn("t", t).select("t", F.inline(pairs)).select("series_id", "t", "x")
+    return numbered(per, "conv_id").select("t", F.inline(pairs)).select("series_id", "t", "x")
 
 
 PANELS = {

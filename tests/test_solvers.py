@@ -194,3 +194,5 @@ def test_norm_operators(spark, planted):
     assert norms.group_norm(df, bridge).first()[0] == pytest.approx(kernels.group_norm(c, groups))
     assert norms.dual_norm(df, bridge).first()[0] == pytest.approx(kernels.dual_norm(c, groups))
     assert norms.frobenius(df).first()[0] == pytest.approx(np.linalg.norm(c))
+    found = norms.spectral(relax.columns_of(df)).first()
+    assert found.operator == pytest.approx(np.linalg.norm(c, 2)) and found.nuclear == pytest.approx(np.linalg.norm(c, "nuc"), rel=1e-5)
