@@ -65,7 +65,7 @@ def sparse_projection(c: DataFrame, lam: float | None = None, method: str = "aut
     if lam is None:
         r = c.agg(F.countDistinct("series_id").alias("p"), F.max("t").alias("n")).first()
         lam = tuning.lambda_sparse(r["p"], r["n"] + 1)
-    v = di.leading_left(relax.columns_of(soft_threshold(c, lam), "m"), method)
+    v = di.leading_left(relax.work_table(relax.columns_of(soft_threshold(c, lam), "m"), "thresholded"), method)
     return lo.locate(v, c), v
 
 

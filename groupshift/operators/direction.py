@@ -62,45 +62,59 @@ def leading_left(columns: DataFrame, method: str = "auto", steps: int = 100, tol
 
 
 def _local(batch, ids):
-    """The batch's columns as a dense matrix over all active series; batches are small beside it."""
+    """The batch's columns as a dense matrix over all active series (ascending ids); batches are small beside it."""
     import numpy as np
 
-    place = {s: i for i, s in enumerate(ids)}
     m = np.zeros((len(ids), len(batch)))
-    for j, (own, vec) in enumerate(zip(batch["ids"], batch["vec"], strict=True)):
-        m[[place[int(s)] for s in own], j] = vec
+    sizes = batch["ids"].str.len().to_numpy()
+    own, values = np.concatenate(batch["ids"].to_list()), np.concatenate(batch["vec"].to_list())
+    m[np.searchsorted(ids, own), np.repeat(np.arange(len(batch)), sizes)] = values
     return m
 
 
-def _summed(columns: DataFrame, make) -> dict[int, list[float]]:
-    """Row by row the sum over partitions of what make(batches) yields as (row, values); partial sums by partition first."""
+#: Bytes of a matrix that travel as one row when partitions' matrices are added up.
+CHUNK_BYTES = 1 << 20
+
+
+def _summed(columns: DataFrame, make, shape: tuple[int, int]):
+    """The sum over partitions of the matrices make(batches) gives, one for each partition; chunks of rows are added apart."""
     import numpy as np
 
-    rows = columns.mapInPandas(make, "i int, x array<double>")
+    height = max(1, CHUNK_BYTES // (8 * shape[1]))
+
+    def cut(batches):
+        import pandas as pd
+
+        total = make(batches)
+        if total is not None:
+            parts = [total[at : at + height].tobytes() for at in range(0, shape[0], height)]
+            yield pd.DataFrame({"i": range(len(parts)), "x": parts})
 
     def add(pdf):
         import pandas as pd
 
-        return pd.DataFrame({"i": [pdf["i"].iloc[0]], "x": [np.sum(pdf["x"].tolist(), axis=0).tolist()]})
+        total = sum(np.frombuffer(x) for x in pdf["x"])
+        return pd.DataFrame({"i": [pdf["i"].iloc[0]], "x": [total.tobytes()]})
 
-    return {r["i"]: r["x"] for r in rows.groupBy("i").applyInPandas(add, "i int, x array<double>").collect()}
+    rows = columns.mapInPandas(cut, "i int, x binary")
+    found = {r["i"]: np.frombuffer(r["x"]).reshape(-1, shape[1]) for r in rows.groupBy("i").applyInPandas(add, "i int, x binary").collect()}
+    return np.vstack([found[i] for i in range(len(found))])
 
 
 def _gram(columns: DataFrame, shared):
     import numpy as np
 
-    def make(batches):
-        import pandas as pd
+    p = len(shared.value)
 
-        total = np.zeros((len(shared.value), len(shared.value)))
+    def make(batches):
+        ids, total = np.array(shared.value), None
         for batch in batches:
             for at in range(0, len(batch), 2048):
-                m = _local(batch[at : at + 2048], shared.value)
-                total += m @ m.T
-        yield pd.DataFrame({"i": range(len(total)), "x": total.tolist()})
+                m = _local(batch[at : at + 2048], ids)
+                total = m @ m.T + (0 if total is None else total)
+        return total
 
-    found = _summed(columns, make)
-    return np.array([found[i] for i in range(len(found))])
+    return _summed(columns, make, (p, p))
 
 
 def _times(columns: DataFrame, shared, v):
@@ -110,14 +124,11 @@ def _times(columns: DataFrame, shared, v):
     sent = columns.sparkSession.sparkContext.broadcast(v)
 
     def make(batches):
-        import pandas as pd
-
-        total = np.zeros_like(sent.value)
+        ids, total = np.array(shared.value), None
         for batch in batches:
             for at in range(0, len(batch), 256):
-                m = _local(batch[at : at + 256], shared.value)
-                total += m @ (m.T @ sent.value)
-        yield pd.DataFrame({"i": range(len(total)), "x": total.tolist()})
+                m = _local(batch[at : at + 256], ids)
+                total = m @ (m.T @ sent.value) + (0 if total is None else total)
+        return total
 
-    found = _summed(columns, make)
-    return np.array([found[i] for i in range(len(found))])
+    return _summed(columns, make, v.shape)
