@@ -44,18 +44,17 @@ def _forget(spark: SparkSession, path: str) -> None:
     where.getFileSystem(sc._jsc.hadoopConfiguration()).delete(where, True)
 
 
-def work_table(df: DataFrame, name: str, rows: int | None = None, each: int = 250_000, scan: bool = False) -> DataFrame:
+def work_table(df: DataFrame, name: str, rows: int | None = None, each: int = 250_000) -> DataFrame:
     """Writes df to the shared folder and reads it back: lineage ends here, and lost executors cost no recomputation.
 
     Partitions are gathered into fewer files, each still read one after the other by its task: about each rows in a
-    file where the caller knows a bound on the rows, else an eighth of the shuffle partitions (half, for what comes
-    straight from a scan), and never fewer than keep all cores busy. Small tables so stay a few files.
+    file where the caller knows a bound on the rows, else half the shuffle partitions, and never fewer than keep all
+    cores busy. Small tables so stay a few files.
     """
     spark = df.sparkSession
     path = f"{shared_folder(spark)}/work-{uuid.uuid4().hex}/{name}"
     if rows is None:
-        cores, dealt = spark.sparkContext.defaultParallelism, int(spark.conf.get("spark.sql.shuffle.partitions"))
-        files = max(3 * cores, dealt // 2) if scan else max(2 * cores, dealt // 8)
+        files = max(spark.sparkContext.defaultParallelism, int(spark.conf.get("spark.sql.shuffle.partitions")) // 2)
     else:
         files = max(1, -(-rows // each))
     df.coalesce(files).write.parquet(path)

@@ -90,7 +90,6 @@ def mix(
     base = work_table(
         docs.select("doc_id", "source", word_count("text").alias("size"), F.conv(F.substring(key, 1, 15), 16, 10).cast("long").alias("h")),
         "sizes",
-        scan=True,
     )
     per = source_targets(base, weights, most)
     quota, whole_rounds = F.round("target").cast("long"), F.expr("quota div source_size")

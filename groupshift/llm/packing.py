@@ -9,7 +9,6 @@ from __future__ import annotations
 
 import zlib
 
-from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -20,6 +19,11 @@ PIECE = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long,
 PLAIN_UP_TO = 0x24F
 
 
+def _first_number(batch, base: int) -> int | None:
+    """The first sequence number of the partition that a batch lies in; one task may run several partitions."""
+    return base | batch.column("place")[0].as_py() << 40 if len(batch) else None
+
+
 def byte_bpe(json_path: str, ranks_path: str | None = None):
     """encode(texts) -> lists of ids, of the vocabulary in json_path; special tokens' strings are ordinary text.
 
@@ -147,8 +151,9 @@ def pack(
 
     def first(batches):
         encode = worker_cache("byte_bpe", lambda: byte_bpe(json_path, ranks_path), stamp)
-        windows, number = Windows(size, open_windows, least_cut), TaskContext.get().partitionId() << 40
+        windows, number = Windows(size, open_windows, least_cut), None
         for batch in batches:
+            number = _first_number(batch, 0) if number is None else number
             ids, texts = batch.column("doc_id").to_pylist(), batch.column("text")
             for at in range(0, len(ids), 256):
                 rows = []
@@ -163,7 +168,7 @@ def pack(
         for at in range(0, len(left), 4096):
             yield _batch(left[at : at + 4096], emit_ids)
 
-    placed = work_table(docs.select("doc_id", "text").mapInArrow(first, PIECE), "pieces", scan=True)
+    placed = work_table(docs.select("doc_id", "text", F.spark_partition_id().alias("place")).mapInArrow(first, PIECE), "pieces")
     left = placed.where("sequence_id is null")
     total = left.agg(F.sum("length")).first()[0] or 0
     groups = -(-total // merge_tokens)
@@ -172,9 +177,9 @@ def pack(
 
     def merge(batches):
         # The windows here are filled to the brim: one is open, and what does not fit in it is cut.
-        task = TaskContext.get().partitionId()
-        number, window, held = (1 << 62) | task << 40, [], 0
+        number, window, held = None, [], 0
         for batch in batches:
+            number = _first_number(batch, 1 << 62) if number is None else number
             rows = []
             cols = [batch.column(c).to_pylist() for c in ("doc_id", "start", "ids", "doc_tokens")]
             for doc_id, start, ids, doc_tokens in zip(*cols, strict=True):
@@ -190,4 +195,4 @@ def pack(
             yield _batch(_laid_out(window, number), emit_ids)
 
     dealt = left.select("doc_id", "start", "ids", "doc_tokens").repartition(groups, "doc_id", "start") if groups > 1 else left.coalesce(1)
-    return placed.where("sequence_id is not null").unionByName(dealt.mapInArrow(merge, PIECE))
+    return placed.where("sequence_id is not null").unionByName(dealt.select("*", F.spark_partition_id().alias("place")).mapInArrow(merge, PIECE))

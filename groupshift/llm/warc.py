@@ -76,7 +76,6 @@ def write_archive(
             F.octet_length("payload").cast("long").alias("payload_bytes"),
         ),
         "digests",
-        scan=True,
     )
     # One row for each digest, summed before the exchange: a payload that a third of all pages share is one key.
     firsts = digests.groupBy(F.col("sha256").alias("sha"), F.col("payload_bytes").alias("len")).agg(

@@ -141,6 +141,8 @@ def test_packing(spark, sf, docs, odd, none):
     encode = packing.byte_bpe(queries.tokenizer_paths()[0])
     want = {d: [encode([t or ""])[0] + [0]] for d, t, _ in docs}
     assert check_packing(queries.op2_packing(spark, sf).collect(), want) < 0.03
+    spread = table(spark, sf, "documents").repartition(30)  # more partitions than work files: several to a task
+    assert check_packing(packing.pack(spread, *queries.tokenizer_paths(), open_windows=4, emit_ids=False).collect(), want) < 0.03
     some = defaultdict(list)
     for r in ODD:
         some[r[0]].append(encode([r[1] or ""])[0] + [0])
