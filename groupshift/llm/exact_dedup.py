@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 from .common import SPACE, work_table
 
 #: Most surviving rows' ids that go to every executor; about 16 bytes each.
-BROADCAST_ROWS = 2_000_000
+BROADCAST_ROWS = 1_000_000
 
 
 def normalised(text: str | Column) -> Column:
@@ -39,13 +39,16 @@ def exact_dedup(
     keys = work_table(
         rows.select("id", F.length("norm").alias("len"), F.xxhash64(F.substring("norm", 1, prefix_chars)).alias("head")),
         "refinement_keys",
-        scan=True,
     )
     # Step 1: lengths that occur more than once. There are no more lengths than the longest text has characters.
     lengths = keys.groupBy("len").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("len")
-    # Step 2: of those, the pairs of length and prefix hash that occur more than once.
-    same_length = keys.join(lengths, "len", "left_semi")
+    # Step 2: of those, the pairs of length and prefix hash that occur more than once. Dealt by length, a frequent one
+    # would fill a task, so the lengths are broadcast; too many of them are left to the pairs, which imply them.
+    lengths = work_table(lengths, "lengths")
+    same_length = keys.join(F.broadcast(lengths), "len", "left_semi") if lengths.count() <= broadcast_rows else keys
     heads = same_length.groupBy("len", "head").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("len", "head")
+    heads = work_table(heads, "heads")
+    heads = F.broadcast(heads) if heads.count() <= broadcast_rows else heads
     survivors = work_table(
         keys.join(heads, ["len", "head"], "left_semi").select("id").distinct().withColumn("alive", F.lit(True)), "survivors"
     )
