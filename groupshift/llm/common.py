@@ -70,6 +70,30 @@ def worker_cache(name: str, make, key=None):
     return store[name][1]
 
 
+def each_text(column, step: int = 512):
+    """The texts of an Arrow column, few of them as Python strings at a time; null is empty."""
+    for at in range(0, len(column), step):
+        for text in column.slice(at, step).to_pylist():
+            yield text or ""
+
+
+def frugal(run):
+    """run, which maps batches to batches, giving back to the system what memory it leaves unused in the worker."""
+
+    def wrapped(batches):
+        import ctypes
+
+        import pyarrow as pa
+
+        yield from run(batches)
+        pa.default_memory_pool().release_unused()
+        trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # of glibc
+        if trim is not None:
+            trim(0)
+
+    return wrapped
+
+
 def tokens(text: str | None) -> list[bytes]:
     """The words of a text in UTF-8 with A-Z in lower case; bytes.split and bytes.lower know ASCII only."""
     return (text or "").encode("utf-8", "surrogatepass").lower().split()

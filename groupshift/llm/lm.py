@@ -16,7 +16,7 @@ from types import SimpleNamespace
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import tokens, work_table, worker_cache
+from .common import each_text, frugal, tokens, work_table, worker_cache
 
 REST, END = 0, 1
 
@@ -48,13 +48,13 @@ def word_counts(texts: DataFrame) -> DataFrame:
             return batch
 
         for batch in batches:
-            for text in batch.column("text").to_pylist():
+            for text in each_text(batch.column("text")):
                 held.update(tokens(text))
-                if len(held) > 300_000:
+                if len(held) > 200_000:
                     yield flush()
         yield flush()
 
-    return texts.select("text").mapInArrow(run, "word binary, c long").groupBy("word").agg(F.sum("c").alias("c"))
+    return texts.select("text").mapInArrow(frugal(run), "word binary, c long").groupBy("word").agg(F.sum("c").alias("c"))
 
 
 def class_pairs(texts: DataFrame, words: list[bytes]) -> DataFrame:
@@ -70,7 +70,7 @@ def class_pairs(texts: DataFrame, words: list[bytes]) -> DataFrame:
         total = np.zeros(m * m, np.int64)
         for batch in batches:
             ids = [END]
-            for text in batch.column("text").to_pylist():
+            for text in each_text(batch.column("text")):
                 ids.extend([index.get(w, REST) for w in tokens(text)])
                 ids.append(END)
                 if len(ids) > 1_000_000:
@@ -82,7 +82,7 @@ def class_pairs(texts: DataFrame, words: list[bytes]) -> DataFrame:
         at = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(at.astype("int32")), pa.array(total[at])], names=["pair", "c"])
 
-    return texts.select("text").mapInArrow(run, "pair int, c long").groupBy("pair").agg(F.sum("c").alias("c"))
+    return texts.select("text").mapInArrow(frugal(run), "pair int, c long").groupBy("pair").agg(F.sum("c").alias("c"))
 
 
 def train(pairs, dims: int = 24, noise: int = 20, steps: int = 150, rate: float = 0.05, seed: int = 7):
@@ -187,7 +187,7 @@ def score_documents(docs: DataFrame, model: Model, counts: DataFrame, held_out:
                 yield pa.RecordBatch.from_arrays([*cut, *made], names=["uid", "doc_id", "held_out", *out])
 
     fields = "uid long, doc_id long, held_out boolean, n long, known long, base double, model double, tail array<binary>"
-    part = work_table(rows.select("uid", "doc_id", "held_out", "text").mapInArrow(run, fields), "scores")
+    part = work_table(rows.select("uid", "doc_id", "held_out", "text").mapInArrow(frugal(run), fields), "scores")
     tail = part.select("uid", F.explode("tail").alias("w"))
     known = tail.join(counts.select(F.col("word"), "c"), F.col("w") == F.col("word"), "left").select("uid", F.coalesce("c", F.lit(0)).alias("c"))
     sums = known.groupBy(F.col("uid").alias("tuid")).agg(

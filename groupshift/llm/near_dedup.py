@@ -18,7 +18,7 @@ import hashlib
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import tokens, work_table, worker_cache
+from .common import frugal, tokens, work_table, worker_cache
 
 WORDS = 5
 SYMBOLS = 128
@@ -118,7 +118,7 @@ def _sketched(docs: DataFrame, words: int) -> DataFrame:
                     sig.append(signature(s).tobytes() if len(s) else None)
                 yield pa.RecordBatch.from_arrays([ids.slice(at, 2048), pa.array(n, pa.int64()), pa.array(key, pa.binary()), pa.array(sig, pa.binary())], names=["doc_id", "n", "set_id", "sig"])
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, n long, set_id binary, sig binary")
+    return docs.select("doc_id", "text").mapInArrow(frugal(run), "doc_id long, n long, set_id binary, sig binary")
 
 
 def _matrix(column):
@@ -137,7 +137,7 @@ def _keys(sets: DataFrame) -> DataFrame:
             nodes = np.repeat(batch.column("node").to_numpy(zero_copy_only=False), keys.shape[1])
             yield pa.RecordBatch.from_arrays([pa.array(keys.ravel()), pa.array(nodes)], names=["key", "node"])
 
-    return sets.select("node", "sig").mapInArrow(run, "key long, node long")
+    return sets.select("node", "sig").mapInArrow(frugal(run), "key long, node long")
 
 
 def _plausible(pairs: DataFrame, sets: DataFrame, share: tuple[int, int]) -> DataFrame:
@@ -155,7 +155,7 @@ def _plausible(pairs: DataFrame, sets: DataFrame, share: tuple[int, int]) -> Dat
                 agree = (_matrix(batch.column("sig_a")) == _matrix(batch.column("sig_b"))).sum(1)
                 yield batch.select(["a", "b"]).filter(pa.array(agree >= LEAST_AGREE))
 
-    return both.mapInArrow(run, "a long, b long")
+    return both.mapInArrow(frugal(run), "a long, b long")
 
 
 def _full_sets(nodes: DataFrame, most: int, sets: DataFrame, docs: DataFrame, words: int, broadcast_rows: int) -> DataFrame:
@@ -176,7 +176,7 @@ def _full_sets(nodes: DataFrame, most: int, sets: DataFrame, docs: DataFrame, wo
                 keys = [hashlib.blake2b(d, digest_size=16).digest() for d in data]
                 yield pa.RecordBatch.from_arrays([pa.array(keys, pa.binary()), pa.array(data, pa.binary())], names=["built_id", "hashes"])
 
-    built = rows.mapInArrow(build, "built_id binary, hashes binary")
+    built = rows.mapInArrow(frugal(build), "built_id binary, hashes binary")
     full = built.join(wanted, F.col("built_id") == F.col("set_id")).select("node", "hashes")
     return work_table(full.groupBy("node").agg(F.first("hashes").alias("hashes")), "full_sets", n, 10_000)
 
@@ -201,7 +201,7 @@ def _confirmed(pairs: DataFrame, n: int, full: DataFrame, share: tuple[int, int]
                 keep.append(share[1] * common >= share[0] * (len(x) + len(y) - common))
             yield batch.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
-    return work_table(both.mapInArrow(confirm, "a long, b long"), "links", n, 50_000)
+    return work_table(both.mapInArrow(frugal(confirm), "a long, b long"), "links", n, 50_000)
 
 
 def components(links: DataFrame) -> DataFrame:
@@ -279,7 +279,7 @@ def _lookalikes(keys: DataFrame, sets: DataFrame, share: tuple[int, int]) -> Dat
                     like[a[close]] = like[b[close]] = True
             yield pa.RecordBatch.from_arrays([pa.array(v[like], pa.int64()) for v in (hub, node, label, n)], schema=schema)
 
-    return rows.repartition("key", "i", "j").sortWithinPartitions("key", "i", "j").mapInArrow(compare, "hub long, node long, label long, n long").distinct()
+    return rows.repartition("key", "i", "j").sortWithinPartitions("key", "i", "j").mapInArrow(frugal(compare), "hub long, node long, label long, n long").distinct()
 
 
 def _dealt(rows: DataFrame, key: str) -> DataFrame:
@@ -357,7 +357,7 @@ def _hub_links(alike: DataFrame, full: DataFrame, share: tuple[int, int]) -> Dat
             yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], names=["a", "b"])
 
     dealt = rows.repartition("hub", "i", "j").sortWithinPartitions("hub", "i", "j")
-    return work_table(dealt.mapInArrow(link, "a long, b long"), "links")
+    return work_table(dealt.mapInArrow(frugal(link), "a long, b long"), "links")
 
 
 def near_duplicates(docs: DataFrame, share: tuple[int, int] = (75, 100), words: int = WORDS, broadcast_rows: int = BROADCAST_ROWS) -> DataFrame:

@@ -12,7 +12,7 @@ import zlib
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import work_table, worker_cache
+from .common import frugal, work_table, worker_cache
 
 PIECE = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long, ids array<int>"
 #: Texts of these characters only: both libraries split them alike, which the tests hold for every one of them.
@@ -168,7 +168,7 @@ def pack(
         for at in range(0, len(left), 4096):
             yield _batch(left[at : at + 4096], emit_ids)
 
-    placed = work_table(docs.select("doc_id", "text", F.spark_partition_id().alias("place")).mapInArrow(first, PIECE), "pieces")
+    placed = work_table(docs.select("doc_id", "text", F.spark_partition_id().alias("place")).mapInArrow(frugal(first), PIECE), "pieces")
     left = placed.where("sequence_id is null")
     total = left.agg(F.sum("length")).first()[0] or 0
     groups = -(-total // merge_tokens)
@@ -195,4 +195,4 @@ def pack(
             yield _batch(_laid_out(window, number), emit_ids)
 
     dealt = left.select("doc_id", "start", "ids", "doc_tokens").repartition(groups, "doc_id", "start") if groups > 1 else left.coalesce(1)
-    return placed.where("sequence_id is not null").unionByName(dealt.select("*", F.spark_partition_id().alias("place")).mapInArrow(merge, PIECE))
+    return placed.where("sequence_id is not null").unionByName(dealt.select("*", F.spark_partition_id().alias("place")).mapInArrow(frugal(merge), PIECE))

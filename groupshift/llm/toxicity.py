@@ -16,7 +16,7 @@ from types import SimpleNamespace
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import worker_cache
+from .common import each_text, frugal, worker_cache
 
 # Characters that look like a Latin letter, digits and signs that stand for one, and what is invisible.
 HOMOGLYPHS = dict(zip("аеіјорсухѕԁһӏкмтвнαεικνορτυχ", "aeijopcyxsdhlkmtbhaeiknoptux", strict=True))
@@ -133,13 +133,13 @@ def learn(
         import pyarrow as pa
 
         for batch in batches:
-            lows = [fold(t) for t in batch.column("text").to_pylist()]
+            lows = [fold(t) for t in each_text(batch.column("text"))]
             yield pa.RecordBatch.from_arrays(
                 [pa.array([_sketch(x) for x in lows], pa.int64()), batch.column("doc_id"), batch.column("y"), pa.array(lows, pa.string())],
                 names=["sketch", "doc_id", "y", "low"],
             )
 
-    texts = sample.select("doc_id", "text", "y").mapInArrow(folded, "sketch long, doc_id long, y int, low string")
+    texts = sample.select("doc_id", "text", "y").mapInArrow(frugal(folded), "sketch long, doc_id long, y int, low string")
     # One text of each sketch; most_docs texts at most, so they are small beside any task.
     unique = texts.groupBy("sketch").agg(F.min_by("low", "doc_id").alias("low"), F.min_by("y", "doc_id").alias("y")).persist()
     sums = {r["y"]: r for r in unique.groupBy("y").agg(F.count(F.lit(1)).alias("n"), F.sum(F.size(F.split("low", " ")) - 2).alias("words")).collect()}
@@ -167,13 +167,13 @@ def learn(
                 own = Counter(stem for word in low.split() for stem in _stems(word))
                 uses.update({(s, y): n for s, n in own.items()})
                 docs_of.update((s, y) for s in own)
-                if len(uses) > 100_000:
+                if len(uses) > 50_000:
                     yield flush()
         yield flush()
 
     # Only beginnings that occur in enough toxic texts leave the executors.
     toxic, clean = sums[1], sums[0]
-    stems = unique.select("low", "y").mapInArrow(counts, "stem string, y int, docs long, uses long")
+    stems = unique.select("low", "y").mapInArrow(frugal(counts), "stem string, y int, docs long, uses long")
     per = stems.groupBy("stem").agg(
         F.sum(F.when(F.col("y") == 1, F.col("docs")).otherwise(0)).alias("docs1"), F.sum(F.when(F.col("y") == 1, F.col("uses")).otherwise(0)).alias("uses1"),
         F.sum(F.when(F.col("y") == 0, F.col("uses")).otherwise(0)).alias("uses0"),
@@ -225,12 +225,12 @@ def score_documents(docs: DataFrame, model: Model, threshold: float = 0.7, carry
 
         machine = automaton(shared.value)
         for batch in batches:
-            scores = pa.array([score(t, machine, shared.value.curve) for t in batch.column("__text").to_pylist()], pa.float64())
+            scores = pa.array([score(t, machine, shared.value.curve) for t in each_text(batch.column("__text"))], pa.float64())
             keep = [batch.column(c) for c in carry]
             yield pa.RecordBatch.from_arrays([*keep, scores], names=[*carry, "score"])
 
     fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in rows.schema.fields if f.name in carry)
-    return rows.mapInArrow(run, f"{fields}, score double").withColumn("predicted", (F.col("score") >= threshold).cast("int"))
+    return rows.mapInArrow(frugal(run), f"{fields}, score double").withColumn("predicted", (F.col("score") >= threshold).cast("int"))
 
 
 def clean_documents(docs: DataFrame, model: Model, threshold: float = 0.7) -> DataFrame:
@@ -243,7 +243,7 @@ def clean_documents(docs: DataFrame, model: Model, threshold: float = 0.7) -> Da
 
         machine = automaton(shared.value)
         for batch in batches:
-            low = [score(t or "", machine, shared.value.curve) < threshold for t in batch.column(at).to_pylist()]
+            low = [score(t, machine, shared.value.curve) < threshold for t in each_text(batch.column(at))]
             yield batch.filter(pa.array(low, pa.bool_()))
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(frugal(run), docs.schema)
