@@ -6,33 +6,16 @@ A block row is (group_id or component, t, ids, vec): the values of some series a
 from __future__ import annotations
 
 import math
-import uuid
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from groupshift import kernels
+from groupshift.sources.work import work_table
 
 from .groups import sizes
 
 
-def work_table(df: DataFrame, name: str) -> DataFrame:
-    """df written to the folder in spark.checkpoint.dir, or checkpointed where that is unset, and read back."""
-    spark = df.sparkSession
-    base = spark.conf.get("spark.checkpoint.dir", None)
-    if base is None:
-        found = spark.sparkContext._jsc.sc().getCheckpointDir()
-        if not found.isDefined():
-            import tempfile
-
-            spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="groupshift-"))
-            found = spark.sparkContext._jsc.sc().getCheckpointDir()
-        base = found.get()
-    path = f"{base}/work-{uuid.uuid4().hex}/{name}"
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
-
-
 #: Most rows of a grouping that go to every executor, about 24 bytes each.
 BROADCAST_ROWS = 2_000_000
 

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .relax import work_table
+from groupshift.sources.work import work_table
 
 
 def asof_segment(times: DataFrame, changes: DataFrame) -> DataFrame:
