@@ -1,16 +1,15 @@
-"""What the training-data operators share: work tables in the shared folder, tokens, per-worker caches."""
+"""What the training-data operators share: tokens, per-worker caches, work tables of the library."""
 
 from __future__ import annotations
 
-import atexit
 import sys
-import tempfile
 import types
-import uuid
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from groupshift.sources.work import shared_folder, work_table
+
 #: The class of the ASCII white space that separates words, as Java and Python patterns write it.
 SPACE = r"[\x20\x09-\x0D]+"
 WORD = r"[^\x20\x09-\x0D]+"
@@ -20,48 +19,6 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_folder(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, or a temporary one where it is unset (tests)."""
-    base = spark.conf.get("spark.checkpoint.dir", None)
-    if not base:
-        found = spark.sparkContext._jsc.sc().getCheckpointDir()
-        if found.isDefined():
-            return found.get()
-        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="groupshift-"))
-        base = spark.sparkContext._jsc.sc().getCheckpointDir().get()
-    elif not spark.sparkContext._jsc.sc().getCheckpointDir().isDefined():
-        spark.sparkContext.setCheckpointDir(base)
-    return base
-
-
-def _forget(spark: SparkSession, path: str) -> None:
-    """Deletes a work table when the driver ends; the session may be gone by then."""
-    sc = spark.sparkContext
-    if sc._jsc is None:
-        return
-    jvm = sc._jvm
-    where = jvm.org.apache.hadoop.fs.Path(path)
-    where.getFileSystem(sc._jsc.hadoopConfiguration()).delete(where, True)
-
-
-def work_table(df: DataFrame, name: str, rows: int | None = None, each: int = 250_000) -> DataFrame:
-    """Writes df to the shared folder and reads it back: lineage ends here, and lost executors cost no recomputation.
-
-    Partitions are gathered into fewer files, each still read one after the other by its task: about each rows in a
-    file where the caller knows a bound on the rows, else half the shuffle partitions, and never fewer than keep all
-    cores busy. Small tables so stay a few files.
-    """
-    spark = df.sparkSession
-    path = f"{shared_folder(spark)}/work-{uuid.uuid4().hex}/{name}"
-    if rows is None:
-        files = max(spark.sparkContext.defaultParallelism, int(spark.conf.get("spark.sql.shuffle.partitions")) // 2)
-    else:
-        files = max(1, -(-rows // each))
-    df.coalesce(files).write.parquet(path)
-    atexit.register(_forget, spark, path)
-    return spark.read.schema(df.schema).parquet(path)
-
-
 def worker_cache(name: str, make, key=None):
     """make(), kept in the Python worker under name while key stays the same; workers live on between tasks."""
     store = sys.modules.setdefault("_groupshift_worker_cache", types.ModuleType("_groupshift_worker_cache")).__dict__
@@ -106,3 +63,6 @@ def crc_of(column: str) -> Column:
 def broadcast_if_small(df: DataFrame, rows: int, bound: int) -> DataFrame:
     """A broadcast hint only where a count has shown that at most bound rows go to each executor."""
     return F.broadcast(df) if rows <= bound else df
+
+
+__all__ = ["SPACE", "WORD", "broadcast_if_small", "crc_of", "each_text", "frugal", "shared_folder", "table", "tokens", "work_table", "worker_cache"]

@@ -64,6 +64,8 @@ def exact_dedup(
     groups = (
         per_id.where("alive").groupBy("sha").agg(F.min("id").alias("keep_id"), F.sum("n").alias("group_size"))
     )
+    groups = work_table(groups, "groups")
+    groups = F.broadcast(groups) if groups.count() <= broadcast_rows else groups
     # A null sha joins nothing: such rows stand alone, or for a repeated id with a text of its own, among themselves.
     joined = per_id.where("alive").join(groups, "sha")
     alone = per_id.where("not alive").withColumns({"keep_id": F.col("id"), "group_size": F.lit(1).cast("long")})
