@@ -35,6 +35,22 @@ def _forget(spark: SparkSession, path: str) -> None:
         where.getFileSystem(sc._jsc.hadoopConfiguration()).delete(where, True)
 
 
+#: Rows of an Arrow batch while a work table is written: with texts in them, Spark's own 10,000 take tens of megabytes a task.
+BATCH_ROWS = 1000
+
+
+@contextlib.contextmanager
+def small_batches(spark: SparkSession):
+    """Arrow batches of BATCH_ROWS rows for what runs inside; the session's setting is put back after."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    before = int(spark.conf.get(key))
+    spark.conf.set(key, str(min(before, BATCH_ROWS) if before > 0 else BATCH_ROWS))
+    try:
+        yield
+    finally:
+        spark.conf.set(key, str(before))
+
+
 def work_table(df: DataFrame, name: str, rows: int | None = None, each: int = 250_000) -> DataFrame:
     """Writes df to the shared folder and reads it back: lineage ends here, and lost executors cost no recomputation.
 
@@ -48,6 +64,7 @@ def work_table(df: DataFrame, name: str, rows: int | None = None, each: int = 25
         files = max(spark.sparkContext.defaultParallelism, int(spark.conf.get("spark.sql.shuffle.partitions")) // 2)
     else:
         files = max(1, -(-rows // each))
-    df.coalesce(files).write.parquet(path)
+    with small_batches(spark):
+        df.coalesce(files).write.parquet(path)
     atexit.register(_forget, spark, path)
     return spark.read.schema(df.schema).parquet(path)
