@@ -6,9 +6,9 @@ rows. Hits count by weight and against the text's length, and a logistic curve f
 
 from __future__ import annotations
 
+import hashlib
 import math
 import re
-import zlib
 from collections import Counter
 from dataclasses import dataclass, field
 from types import SimpleNamespace
@@ -105,19 +105,13 @@ def _stems(word: str, shortest: int = 4, longest: int = 9):
         yield word[:n]
 
 
-def _sketch(low: str) -> int:
-    """The least hash of a text's pairs of words: near copies mostly share it."""
-    words = low.encode().split()
-    return min((zlib.crc32(a + b" " + b) for a, b in zip(words, words[1:], strict=False)), default=zlib.crc32(low.encode()))
-
-
 def learn(
     docs: DataFrame, labels: DataFrame, held_out=None, most_docs: int = 12_000, most_stems: int = 4_000, least_share: float = 0.015, least_ratio: float = 2.0
 ) -> Model:
     """Learns weights and curve from labelled rows (doc_id, toxic) that held_out(doc_id column) does not mark.
 
-    At most most_docs labelled rows are used, chosen by hash; whole texts are read. One text of those that share a sketch
-    counts, so that a group of copies is not taken for a pattern. A word beginning gets a weight when it occurs in at
+    At most most_docs labelled rows are used, chosen by hash; whole texts are read. Texts of one label that are equal when
+    folded count once, so that a group of copies is not taken for a pattern; all others count. A word beginning gets a weight when it occurs in at
     least least_share of the toxic texts and its share of words is exp(least_ratio) times that among clean ones. Without
     labels of both kinds the model is the list of insults alone. Null texts count as empty, null labels are left out.
     """
@@ -135,13 +129,12 @@ def learn(
         for batch in batches:
             lows = [fold(t) for t in each_text(batch.column("text"))]
             yield pa.RecordBatch.from_arrays(
-                [pa.array([_sketch(x) for x in lows], pa.int64()), batch.column("doc_id"), batch.column("y"), pa.array(lows, pa.string())],
-                names=["sketch", "doc_id", "y", "low"],
+                [pa.array([hashlib.sha256(x.encode(errors="surrogatepass")).digest() for x in lows], pa.binary()), batch.column("y"), pa.array(lows, pa.string())], names=["digest", "y", "low"]
             )
 
-    texts = sample.select("doc_id", "text", "y").mapInArrow(frugal(folded), "sketch long, doc_id long, y int, low string")
-    # One text of each sketch; most_docs texts at most, so they are small beside any task.
-    unique = texts.groupBy("sketch").agg(F.min_by("low", "doc_id").alias("low"), F.min_by("y", "doc_id").alias("y")).persist()
+    texts = sample.select("doc_id", "text", "y").mapInArrow(frugal(folded), "digest binary, y int, low string")
+    # One of equal texts of a label; most_docs texts at most, so they are small beside any task.
+    unique = texts.groupBy("y", "digest").agg(F.first("low").alias("low")).persist()
     sums = {r["y"]: r for r in unique.groupBy("y").agg(F.count(F.lit(1)).alias("n"), F.sum(F.size(F.split("low", " ")) - 2).alias("words")).collect()}
     model = Model()
     if not (sums.get(0) and sums.get(1)):

@@ -375,6 +375,22 @@ def test_toxicity_folding(spark, odd, none):
     assert toxicity.clean_documents(none, model).count() == 0
 
 
+def test_toxicity_learns_from_all_but_copies(spark):
+    # Texts share the pair of words whose hash is least, but are no copies; clean ones have the smaller ids.
+    pair = min((f"aa{i} bb{i}" for i in range(200_000)), key=lambda x: zlib.crc32(toxicity.fold(x).strip().encode()))
+    rows = [(i, f"{pair} plain{chr(97 + i)} words of text {chr(97 + i) * 5}", 0) for i in range(8)]
+    rows += [(100 + i, f"{pair} grumbleflax said {chr(97 + i) * 6}", 1) for i in range(8)]
+    rows += [(200 + i, "Fromplewitz, again and again", 1) for i in range(8)]  # copies count once
+    rows += [(300, f"{pair} plaina words of text aaaaa", 1)]  # a text with both labels
+    docs = spark.createDataFrame([(i, t) for i, t, _ in rows], "doc_id long, text string")
+    labels = spark.createDataFrame([(i, 1, y) for i, _, y in rows], "doc_id long, quality int, toxic int")
+    model = toxicity.learn(docs, labels)
+    assert any(w.startswith("grum") for w in model.weights)
+    assert not any(w.startswith("from") for w in model.weights)
+    scores = {r.doc_id: r.score for r in toxicity.score_documents(docs, model).collect()}
+    assert min(scores[100 + i] for i in range(8)) > max(scores[i] for i in range(8))
+
+
 # 9
 
 
