@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from groupshift import kernels
@@ -17,6 +17,10 @@ from .single import level
 #: Up to so many cells a panel goes to every executor whole (160 MB of doubles), and each interval is one row of work.
 REPLICATED_CELLS = 20_000_000
 CANDIDATE = "q int, s long, e long, b long, stat double"
+#: Statistics of the distributed mode: directions by power steps, and curves over whole columns.
+DIRECTIONS, CURVES = ("gsp", "gsp_columnwise", "sparse_projection"), ("l2", "linf", "double_cusum", "scan", "sparsified")
+#: Up to so many entries that are not zero an interval's direction is found in one task; beyond it, by power steps as joins.
+LOCAL_CELLS = 4_000_000
 
 
 def as_matrix(panel: DataFrame, most: int = REPLICATED_CELLS):
@@ -43,17 +47,21 @@ def finder(stat: str, groups, lam: float) -> Callable:
 
 
 def interval_candidates(
-    panel: DataFrame, groups: DataFrame, intervals: DataFrame, lam: float | None = None, stat: str = "gsp", mode: str = "auto", steps: int = 25
+    panel: DataFrame, groups: DataFrame, intervals: DataFrame, lam: float | None = None, stat: str = "gsp", mode: str = "auto", steps: int = 1000
 ) -> DataFrame:
     """(q, s, e, b, stat) of the detector on (s, e] for each interval; b counts in the whole panel.
 
     replicated: the panel goes to every executor and intervals are dealt out. distributed: all intervals advance
-    together from one table of prefix sums; stat is then gsp (disjoint groups) or l2. auto goes by the panel's size.
+    together from one table of prefix sums, with the same result; gsp with overlapping groups and gsp_split raise an
+    error there (gsp_columnwise takes any groups), and so do power steps that have not converged after so many steps.
+    auto goes by the panel's size.
     """
-    lam, _, _ = level(panel, groups, lam)
+    lam, disjoint, _ = level(panel, groups, lam)
     if mode == "auto":
         mode = "replicated" if panel.count() <= REPLICATED_CELLS else "distributed"
     if mode == "distributed":
+        if stat not in DIRECTIONS + CURVES or (stat == "gsp" and not disjoint):
+            raise ValueError(f"the distributed mode has no {stat}" + (" for overlapping groups: use gsp_columnwise" if stat == "gsp" else ""))
         c = relax.work_table(cu.cusum_intervals(panel, intervals), "interval_cusum")
         return _distributed(c, groups, intervals, lam, stat, steps)
     x, ids = as_matrix(panel)
@@ -75,26 +83,104 @@ def interval_candidates(
     return intervals.repartition(spark.sparkContext.defaultParallelism).mapInPandas(run, CANDIDATE)
 
 
+def _columns(c: DataFrame) -> DataFrame:
+    """Whole columns (t, ids, vec) of all intervals, t standing for both: q * 2^40 + t."""
+    return relax.columns_of(c.select((F.col("q").cast("long") * (1 << 40) + F.col("t")).alias("t"), "series_id", "cusum"))
+
+
+#: The two numbers in it.
+_Q, _T = "int(t div 1099511627776) AS q", "t % 1099511627776 AS t"
+
+
+def _curve(c: DataFrame, intervals: DataFrame, stat: str) -> DataFrame:
+    """(q, t, size) of a statistic of each column."""
+    if stat in ("l2", "linf"):
+        size = F.sqrt(F.sum(F.col("cusum") * F.col("cusum"))) if stat == "l2" else F.max(F.abs("cusum"))
+        return c.groupBy("q", "t").agg(size.alias("size"))
+    columns = _columns(c)
+    if stat == "sparsified":
+        a = F.abs("cusum")
+        level = F.sqrt(2 * F.log(F.greatest(F.lit(2), F.col("p") * (F.col("e") - F.col("s")))))
+        cut = c.join(intervals.select("q", "s", "e"), "q").crossJoin(c.agg(F.countDistinct("series_id").alias("p")))
+        return cut.groupBy("q", "t").agg(F.sum(F.when(a > level, a).otherwise(0.0)).alias("size"))
+
+    def run(batches):
+        import numpy as np
+
+        for batch in batches:
+            if len(batch):
+                yield batch[["t"]].assign(size=getattr(kernels, stat)(np.array(batch["vec"].tolist()).T))
+
+    return columns.mapInPandas(run, "t long, size double").selectExpr(_Q, _T, "size")
+
+
+def _relaxed(c: DataFrame, groups: DataFrame, intervals: DataFrame, lam: float, stat: str) -> DataFrame:
+    """(q, series_id, t, m): what is left of each interval's CUSUM, without zero entries."""
+    if stat == "sparse_projection":
+        p = c.agg(F.countDistinct("series_id").alias("p"))
+        cut = c.join(intervals.select("q", "s", "e"), "q").crossJoin(p).withColumn("l", F.sqrt(F.log(F.col("p") * F.log(F.col("e") - F.col("s"))) / 2))
+        return cut.where("abs(cusum) > l").select("q", "series_id", "t", (F.signum("cusum") * (F.abs("cusum") - F.col("l"))).alias("m"))
+    if stat == "gsp_columnwise":
+        long = relax.to_long(relax.columnwise_dual(_columns(c), groups, lam))
+        return long.where("m != 0").selectExpr(_Q, "series_id", _T, "m")
+    joined = c.join(relax.sized_groups(groups), "series_id")
+    norms = joined.groupBy("q", "group_id", "t").agg(F.sqrt(F.sum(F.col("cusum") * F.col("cusum"))).alias("norm"), F.first("p_g").alias("p_g"))
+    norms = norms.where(F.col("norm") > lam * F.sqrt("p_g")).select("q", "group_id", "t", (1 - lam * F.sqrt("p_g") / F.col("norm")).alias("f"))
+    return joined.join(norms, ["q", "group_id", "t"]).select("q", "series_id", "t", (F.col("cusum") * F.col("f")).alias("m"))
+
+
+def _exact_directions(m: DataFrame) -> DataFrame:
+    def run(key, pdf):
+        import numpy as np
+        import pandas as pd
+
+        ids, rows = np.unique(pdf["series_id"].to_numpy(), return_inverse=True)
+        times, columns = np.unique(pdf["t"].to_numpy(), return_inverse=True)
+        x = np.zeros((len(ids), len(times)))
+        x[rows, columns] = pdf["m"].to_numpy()
+        return pd.DataFrame({"q": key[0], "series_id": ids, "v": kernels.leading_left(x)})
+
+    return m.groupBy("q").applyInPandas(run, "q int, series_id long, v double")
+
+
+def _power_directions(m: DataFrame, steps: int, tol: float = 1e-6) -> DataFrame:
+    """Power steps for all intervals at once, as joins and sums keyed by interval, until a step moves no direction by more than tol."""
+    v = m.select("q", "series_id").distinct()
+    v = v.withColumn("v", 1 / F.sqrt(F.count(F.lit(1)).over(Window.partitionBy("q"))))
+    for k in range(steps):
+        last = v
+        w = m.join(v, ["q", "series_id"]).groupBy("q", "t").agg(F.sum(F.col("m") * F.col("v")).alias("w"))
+        v = m.join(w, ["q", "t"]).groupBy("q", "series_id").agg(F.sum(F.col("m") * F.col("w")).alias("v"))
+        size = v.groupBy("q").agg(F.sqrt(F.sum(F.col("v") * F.col("v"))).alias("size"))
+        v = v.join(size, "q").select("q", "series_id", (F.col("v") / F.nullif("size", F.lit(0.0))).alias("v"))
+        if k % 4 == 3 or k == steps - 1:
+            # the step before is kept beside the new one, so that the last move can be measured
+            both = relax.work_table(v.join(last.withColumnRenamed("v", "before"), ["q", "series_id"]), "interval_directions")
+            v = both.select("q", "series_id", "v")
+            moved = both.groupBy("q").agg(F.sqrt(F.sum((F.col("v") - F.col("before")) ** 2)).alias("moved")).where(F.col("moved").isNull() | (F.col("moved") > tol))
+            if moved.isEmpty():
+                return v
+    raise RuntimeError(f"the directions of {moved.count()} intervals still move after {steps} power steps")
+
+
+def _directions(m: DataFrame, steps: int) -> DataFrame:
+    """(q, series_id, v) for every interval with an entry; both ways lead to the leading left singular vector."""
+    cells = m.groupBy("q").agg(F.count(F.lit(1)).alias("cells")).persist()
+    large = cells.where(F.col("cells") > LOCAL_CELLS).select("q")
+    if large.isEmpty():
+        return _exact_directions(m)
+    found = _power_directions(relax.work_table(m.join(large, "q", "left_semi"), "interval_large"), steps)
+    return found.unionByName(_exact_directions(m.join(large, "q", "left_anti")))
+
+
 def _distributed(c: DataFrame, groups: DataFrame, intervals: DataFrame, lam: float, stat: str, steps: int) -> DataFrame:
-    """Power steps for all intervals at once, as joins and sums keyed by interval."""
-    if stat == "l2":
-        curve = c.groupBy("q", "t").agg(F.sqrt(F.sum(F.col("cusum") * F.col("cusum"))).alias("size"))
+    if stat in CURVES:
+        curve = _curve(c, intervals, stat)
     else:
-        joined = c.join(relax.sized_groups(groups), "series_id")
-        norms = joined.groupBy("q", "group_id", "t").agg(F.sqrt(F.sum(F.col("cusum") * F.col("cusum"))).alias("norm"), F.first("p_g").alias("p_g"))
-        norms = norms.where(F.col("norm") > lam * F.sqrt("p_g")).select("q", "group_id", "t", (1 - lam * F.sqrt("p_g") / F.col("norm")).alias("f"))
-        m = relax.work_table(joined.join(norms, ["q", "group_id", "t"]).select("q", "series_id", "t", (F.col("cusum") * F.col("f")).alias("m")), "interval_shrunk")
-        v = m.select("q", "series_id").distinct().withColumn("v", F.lit(1.0))
-        for k in range(steps):
-            w = m.join(v, ["q", "series_id"]).groupBy("q", "t").agg(F.sum(F.col("m") * F.col("v")).alias("w"))
-            v = m.join(w, ["q", "t"]).groupBy("q", "series_id").agg(F.sum(F.col("m") * F.col("w")).alias("v"))
-            size = v.groupBy("q").agg(F.sqrt(F.sum(F.col("v") * F.col("v"))).alias("size"))
-            v = v.join(size, "q").select("q", "series_id", (F.col("v") / F.nullif("size", F.lit(0.0))).alias("v"))
-            if k % 4 == 3 or k == steps - 1:
-                v = relax.work_table(v, "interval_directions")
-        curve = c.join(v, ["q", "series_id"]).groupBy("q", "t").agg(F.abs(F.sum(F.col("cusum") * F.col("v"))).alias("size"))
-    best = curve.groupBy("q").agg(F.max(F.struct(F.col("size").alias("stat"), (-F.col("t")).alias("back"))).alias("x"))
-    found = intervals.join(best, "q", "left")
+        m = relax.work_table(_relaxed(c, groups, intervals, lam, stat), "interval_shrunk")
+        curve = c.join(_directions(m, steps), ["q", "series_id"]).groupBy("q", "t").agg(F.abs(F.sum(F.col("cusum") * F.col("v"))).alias("size"))
+    best = curve.groupBy("q").agg(F.max(F.struct(F.col("size").alias("stat"), (-F.col("t")).alias("back"))).alias("x"), F.max(F.abs("size")).alias("any"))
+    found = intervals.join(best.where("any > 0"), "q", "left")
     return found.select("q", "s", "e", (-F.col("x.back")).alias("b"), F.coalesce("x.stat", F.lit(0.0)).alias("stat"))
 
 

@@ -89,6 +89,36 @@ def test_interval_modes_agree(spark, planted):
         assert (r.b, r.stat) == (r.s + z, pytest.approx(stat))
 
 
+@pytest.mark.parametrize("stat", [*multi.DIRECTIONS, *multi.CURVES])
+def test_distributed_has_the_same_detectors(spark, planted, stat):
+    x, _, _ = planted
+    panel = panel_of(spark, x)
+    bridge = gr.blocks(spark, 24, 4, first=1) if stat == "gsp" else gr.windows(spark, 24, 8, 4, first=1)
+    some = intervals.draw_intervals(spark, 60, 8)
+    want, got = ({r.q: r for r in multi.interval_candidates(panel, bridge, some, 0.6, stat, mode).collect()} for mode in ("replicated", "distributed"))
+    for q, r in want.items():
+        assert (got[q].s, got[q].e, got[q].b) == (r.s, r.e, r.b) and got[q].stat == pytest.approx(r.stat, abs=1e-5)
+
+
+def test_power_steps_converge_or_raise(spark, planted, monkeypatch):
+    x, _, _ = planted
+    panel, bridge = panel_of(spark, x), gr.blocks(spark, 24, 4, first=1)
+    some = spark.createDataFrame([(0, 0, 60), (1, 5, 55)], "q int, s long, e long")
+    want = {r.q: r.stat for r in multi.interval_candidates(panel, bridge, some, 0.6, mode="replicated").collect()}
+    monkeypatch.setattr(multi, "LOCAL_CELLS", 0)
+    got = {r.q: r.stat for r in multi.interval_candidates(panel, bridge, some, 0.6, mode="distributed").collect()}
+    assert got == pytest.approx(want, abs=1e-4)
+    with pytest.raises(RuntimeError):
+        multi.interval_candidates(panel, bridge, some, 0.6, mode="distributed", steps=1)
+
+
+@pytest.mark.parametrize("stat", ["gsp", "gsp_split", "unknown"])
+def test_distributed_refuses_what_it_cannot_do(spark, planted, stat):
+    panel, over = panel_of(spark, planted[0]), gr.windows(spark, 24, 8, 4, first=1)
+    with pytest.raises(ValueError):
+        multi.interval_candidates(panel, over, intervals.draw_intervals(spark, 60, 4), 0.6, stat, "distributed")
+
+
 def test_intervals_are_uniform_and_valid(spark):
     rows = intervals.draw_intervals(spark, 12, 6000).collect()
     assert all(0 <= r.s and r.e - r.s >= 2 and r.e <= 12 for r in rows)
