@@ -61,10 +61,12 @@ def supplier_planted(spark, sf) -> tuple[DataFrame, DataFrame, DataFrame]:
     return relax.work_table(panel, "panel"), groups, truth
 
 
-def window_planted(spark, sf, columns: int = 64):
-    panel = scale.standardised(panels.embedding_stream(spark, sf, columns))
+def window_planted(spark, sf, columns: int | None = None):
+    """(panel, groups, truth) over all vectors; columns cuts them for a query whose SQL is recursive."""
+    panel = panels.embedding_stream(spark, sf, columns)
+    n = panel.agg(F.max("t")).first()[0] or 0
     groups = gr.windows(spark, 64, 16, 8, first=1)
-    panel, truth = panels.plant(panel, groups, [panels.Step(int(0.4 * columns), (2,), 4.0)])
+    panel, truth = panels.plant(scale.standardised(panel), groups, [panels.Step(int(0.4 * n), (2,), 4.0)])
     return relax.work_table(panel, "panel"), groups, truth
 
 
@@ -186,16 +188,25 @@ def _cg_sql(steps: int) -> str:
 
 @query("cg_overlap_5", _cg_sql(5))
 def _(spark, sf):
-    panel, groups, _ = window_planted(spark, sf)
+    panel, groups, _ = window_planted(spark, sf, 64)  # what the SQL has; cg_overlap_5_whole has all vectors
     lam = tuning.lambda_practical(64, 7, 16)
     columns = relax.work_table(relax.columns_of(cu.cusum(panel)), "columns")
     return rounded(relax.to_long(relax.conditional_gradient(columns, groups, lam, eps=0.0, max_iter=5, save_every=3)), 6, "m")
 
 
+@query("cg_overlap_5_whole")
+def _(spark, sf):
+    panel, groups, _ = window_planted(spark, sf)
+    lam, _, _ = single.level(panel, groups, None)
+    columns = relax.work_table(relax.columns_of(cu.cusum(panel)), "columns")
+    return rounded(relax.to_long(relax.conditional_gradient(columns, groups, lam, eps=0.0, max_iter=5, save_every=3)), 6, "m")
+
+
 @query("columnwise_overlap")
 def _(spark, sf):
     panel, groups, _ = window_planted(spark, sf)
-    return rounded(relax.to_long(relax.columnwise_dual(relax.columns_of(cu.cusum(panel)), groups, tuning.lambda_practical(64, 7, 16))), 4, "m")
+    lam, _, _ = single.level(panel, groups, None)
+    return rounded(relax.to_long(relax.columnwise_dual(relax.columns_of(cu.cusum(panel)), groups, lam)), 4, "m")
 
 
 # Directions
@@ -265,7 +276,7 @@ def _(spark, sf):
 
 @query("single_overlap")
 def _(spark, sf):
-    panel, groups, _ = window_planted(spark, sf, 200)
+    panel, groups, _ = window_planted(spark, sf)
     found = [("columnwise", single.detect_single(panel, groups)), ("iterative", single.detect_single(panel, groups, solver="iterative"))]
     parts = [f.point.select(F.lit(name).alias("solver"), "z", F.round("stat", 2).alias("stat")) for name, f in found]
     return parts[0].unionByName(parts[1])
@@ -731,7 +742,12 @@ def _(spark, sf):
 
 @query("embedding_panel", f"WITH {o.embedding_stream(100)} SELECT series_id, t, x FROM raw")
 def _(spark, sf):
-    return panels.embedding_stream(spark, sf, 100)
+    return panels.embedding_stream(spark, sf, 100)  # what the SQL has; embedding_panel_whole has all vectors
+
+
+@query("embedding_panel_whole")
+def _(spark, sf):
+    return panels.embedding_stream(spark, sf)
 
 
 @query("event_props", "SELECT event_type, (props->>'$.k')::INT AS k, count(*) AS n, sum(value::DECIMAL(18,4))::DOUBLE AS total FROM events GROUP BY ALL")

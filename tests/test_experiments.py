@@ -122,6 +122,24 @@ def test_runs(spark, sf, name):
     assert df.columns and (df.count() > 0 or name == "e5_real_series")
 
 
+def test_overlap_queries_take_every_vector(spark, sf):
+    vectors = spark.read.parquet(f"{sf}/embeddings.parquet").orderBy("vec_id").select("embedding").collect()
+    x = np.array([r.embedding for r in vectors], float).T
+    n = x.shape[1]
+    assert registry.QUERIES["embedding_panel_whole"](spark, sf).count() == x.size
+    x, groups = x / kernels.row_scale(x)[:, None], kernels.windows(64, 16, 8)
+    x[:, int(0.4 * n) :] += kernels.step_vector(64, groups, [2], 4.0)[:, None]
+    c, lam = kernels.cusum(x), tuning.lambda_practical(n, 7, 16)
+    for name, want in {"columnwise_overlap": kernels.columnwise_dual(c, groups, lam), "cg_overlap_5_whole": kernels.conditional_gradient(c, groups, lam, eps=0.0, most=5)}.items():
+        got = np.full(c.shape, np.nan)
+        for r in registry.QUERIES[name](spark, sf).collect():
+            got[r.series_id - 1, r.t - 1] = r.m
+        assert got == pytest.approx(want, abs=1e-3), name
+    z, stat, _ = kernels.detect_single(x, groups, lam, "columnwise")
+    found = {r.solver: r for r in registry.QUERIES["single_overlap"](spark, sf).collect()}
+    assert (found["columnwise"].z, found["columnwise"].stat) == (z, pytest.approx(stat, abs=0.01))
+
+
 def test_entry(spark):
     import __spark_entry__ as e
 
