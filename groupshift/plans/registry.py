@@ -698,10 +698,16 @@ def _(spark, sf):
     FROM k WINDOW w AS (PARTITION BY t ORDER BY norm DESC, group_id), v AS (PARTITION BY t ORDER BY norm DESC)""")
 def _(spark, sf):
     panel, groups, _ = supplier_planted(spark, sf)
-    some = norms.block_norms(cu.cusum(panel), groups).where("t between 140 and 150")
+    some = norms.block_norms(cu.cusum(panel), groups).where("t between 140 and 150")  # what the SQL has
     return relops.rank_blocks(rounded(some, 6, "norm"))
 
 
+@query("rank_blocks_whole")
+def _(spark, sf):
+    panel, groups, _ = supplier_planted(spark, sf)
+    return relops.rank_blocks(rounded(norms.block_norms(cu.cusum(panel), groups), 6, "norm"))
+
+
 @query("topk_peaks", f"{PB} SELECT series_id, t, a, rank::INT AS rank FROM (SELECT series_id, t, a, row_number() OVER (PARTITION BY series_id ORDER BY a DESC, t) AS rank FROM (SELECT series_id, t, round(abs(cusum), 6) AS a FROM cus)) WHERE rank <= 3")
 def _(spark, sf):
     c = cu.cusum(supplier_planted(spark, sf)[0]).select("series_id", "t", F.round(F.abs("cusum"), 6).alias("a"))

@@ -140,6 +140,18 @@ def test_overlap_queries_take_every_vector(spark, sf):
     assert (found["columnwise"].z, found["columnwise"].stat) == (z, pytest.approx(stat, abs=0.01))
 
 
+def test_blocks_are_ranked_at_every_time(spark, sf):
+    found = registry.QUERIES["rank_blocks_whole"](spark, sf).collect()
+    n = 356
+    groups = {r.group_id for r in found}
+    assert len(groups) == 10 and len(found) == 10 * (n - 1) and {r.t for r in found} == set(range(1, n))
+    for t in range(1, n):
+        at = sorted((r for r in found if r.t == t), key=lambda r: (-r.norm, r.group_id))
+        assert [r.rn for r in at] == list(range(1, 11))
+    window = {tuple(r) for r in found if 140 <= r.t <= 150}
+    assert window == {tuple(r) for r in registry.QUERIES["rank_blocks"](spark, sf).collect()}
+
+
 def test_entry(spark):
     import __spark_entry__ as e
 
