@@ -65,4 +65,35 @@ def broadcast_if_small(df: DataFrame, rows: int, bound: int) -> DataFrame:
     return F.broadcast(df) if rows <= bound else df
 
 
-__all__ = ["SPACE", "WORD", "broadcast_if_small", "crc_of", "each_text", "frugal", "shared_folder", "table", "tokens", "work_table", "worker_cache"]
+def shielded(docs: DataFrame) -> tuple[DataFrame, dict[str, str]]:
+    """docs with its columns named c0, c1, .., and the new name of each old one: no helper column can clash with them."""
+    names = [f"c{i}" for i in range(len(docs.columns))]
+    return docs.toDF(*names), dict(zip(docs.columns, names, strict=True))
+
+
+#: Rows of one key that a task of salted_join may get at least, before the key is split.
+LEAST_SPLIT = 256
+
+
+def salted_join(left: DataFrame, right: DataFrame, on: list[str], weight: str, total: int, hot_rows: int = 100_000, how: str = "inner") -> DataFrame:
+    """left joined with right, whose keys occur once and come with the number (weight) of left rows that they have of total in all.
+
+    A key of more than total / hot_rows rows is split: its left rows are dealt by hash over several salts, and its row of
+    right is repeated for each. There are fewer than hot_rows such keys, so that their list may be broadcast, and fewer than twice as
+    many repeated rows. how is inner, left or left_semi. Keys that are null join nothing. The names _salt, _salts and _k0, .. must be free.
+    """
+    most = max(LEAST_SPLIT, -(-total // hot_rows))
+    keys = [f"_k{i}" for i in range(len(on))]
+    hot = right.where(F.col(weight) > most).select(*[F.col(c).alias(k) for c, k in zip(on, keys, strict=True)], F.ceil(F.col(weight) / most).cast("int").alias("_salts"))
+    same = None
+    for c, k in zip(on, keys, strict=True):
+        same = (F.col(c) == F.col(k)) if same is None else same & (F.col(c) == F.col(k))
+    dealt = left.join(F.broadcast(hot), same, "left").drop(*keys)
+    own = F.pmod(F.xxhash64(*left.columns), F.coalesce("_salts", F.lit(1))).cast("int")
+    dealt = dealt.withColumn("_salt", own).drop("_salts")
+    copies = F.when(F.col(weight) > most, F.ceil(F.col(weight) / most)).otherwise(1).cast("int")
+    spread = right.withColumn("_salt", F.explode(F.sequence(F.lit(0), copies - 1)))
+    return dealt.join(spread, [*on, "_salt"], how).drop("_salt")
+
+
+__all__ = ["SPACE", "WORD", "broadcast_if_small", "crc_of", "each_text", "frugal", "salted_join", "shared_folder", "shielded", "table", "tokens", "work_table", "worker_cache"]
