@@ -12,7 +12,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import WORD, broadcast_if_small, work_table
+from .common import WORD, broadcast_if_small, shielded, work_table
 
 #: 2**32 divided by the golden ratio, made odd: multiples of it modulo 2**32 are golden-ratio points.
 GOLDEN = 2_654_435_769
@@ -86,7 +86,9 @@ def mix(
     is taken of it; a null source is a source. Rows that agree in id, source and size may swap their takings.
     An empty table gives empty results.
     """
-    key = F.md5(F.concat_ws(":", F.lit(seed), F.coalesce(F.col("doc_id").cast("string"), F.lit("null"))))
+    # A document without an id has the hash of its text, so that such rows spread over their source's stream.
+    name = F.coalesce(F.col("doc_id").cast("string"), F.md5(F.coalesce("text", F.lit(""))))
+    key = F.md5(F.concat_ws(":", F.lit(seed), name))
     base = work_table(
         docs.select("doc_id", "source", word_count("text").alias("size"), F.conv(F.substring(key, 1, 15), 16, 10).cast("long").alias("h")),
         "sizes",
@@ -136,7 +138,9 @@ def mix(
     known = broadcast_if_small(sources.select(F.col("source").alias("src"), "sid", "source_size", "target"), n_sources, BROADCAST_ROWS)
     placed = base.join(known, base["source"].eqNullSafe(known["src"])).drop("src")
     placed = placed.withColumn("part", F.shiftright("h", 60 - RANGES.bit_length() + 1))
-    placed = work_table(running_start(placed, "sid", "part", ["h", "doc_id", "size"], F.col("size"), "start").drop("part", "h"), "streams")
+    # Empty texts take no place in a stream.
+    starts = running_start(placed.where("size > 0"), "sid", "part", ["h", "doc_id", "size"], F.col("size"), "start")
+    placed = work_table(starts.unionByName(placed.where("size = 0").withColumn("start", F.lit(None).cast("long"))).drop("part", "h"), "streams")
     pieces = placed.where("size > 0").select(
         "sid", "start", "size",
         F.explode(F.sequence(F.expr(f"start div {block_words}"), F.expr(f"(start + size - 1) div {block_words}"))).alias("block"),
@@ -162,12 +166,13 @@ def mixed_documents(docs: DataFrame, broadcast_rows: int = BROADCAST_ROWS, **opt
     At most one document of a source is taken in part. Rows that agree in id, source and size come equally often.
     """
     taken = mix(docs, **options).documents
-    copies = taken.groupBy(F.col("doc_id").alias("_d"), F.col("source").alias("_s"), F.col("size").alias("_n")).agg(
-        F.round(F.try_divide(F.sum("taken"), F.sum("size"))).cast("int").alias("_copies")
+    copies = taken.groupBy(F.col("doc_id").alias("d"), F.col("source").alias("s"), F.col("size").alias("n")).agg(
+        F.round(F.try_divide(F.sum("taken"), F.sum("size"))).cast("int").alias("copies")
     )
-    copies = work_table(copies.where("_copies > 0"), "copies")
+    copies = work_table(copies.where("copies > 0"), "copies")
     copies = broadcast_if_small(copies, copies.count(), broadcast_rows)
-    columns = docs.columns
-    sized = docs.withColumn("_words", word_count("text"))
-    same = sized["doc_id"].eqNullSafe(copies["_d"]) & sized["source"].eqNullSafe(copies["_s"]) & (sized["_words"] == copies["_n"])
-    return sized.join(copies, same).withColumn("_i", F.explode(F.sequence(F.lit(1), F.col("_copies")))).select(*columns)
+    plain, name = shielded(docs)
+    sized = plain.withColumn("words", word_count(name["text"]))
+    same = sized[name["doc_id"]].eqNullSafe(copies["d"]) & sized[name["source"]].eqNullSafe(copies["s"]) & (sized["words"] == copies["n"])
+    repeated = sized.join(copies, same).withColumn("copy", F.explode(F.sequence(F.lit(1), F.col("copies"))))
+    return repeated.select(*name.values()).toDF(*docs.columns)

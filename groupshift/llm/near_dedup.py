@@ -18,7 +18,7 @@ import hashlib
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import frugal, tokens, work_table, worker_cache
+from .common import frugal, salted_join, shielded, tokens, work_table, worker_cache
 
 WORDS = 5
 SYMBOLS = 128
@@ -412,6 +412,6 @@ def keep_one(docs: DataFrame, broadcast_rows: int = BROADCAST_ROWS, **options) -
     """The rows of docs that near_duplicates keeps, with all their columns; of rows that repeat a kept doc_id, all."""
     gone = near_duplicates(docs, broadcast_rows=broadcast_rows, **options).groupBy(F.col("doc_id").alias("gone")).agg(F.max("kept").alias("any"))
     gone = work_table(gone.where("not any").select("gone"), "gone")
-    if gone.count() <= broadcast_rows:
-        gone = F.broadcast(gone)
-    return docs.join(gone, docs["doc_id"].eqNullSafe(gone["gone"]), "left_anti")
+    plain, name = shielded(docs)
+    gone = F.broadcast(gone) if gone.count() <= broadcast_rows else gone
+    return plain.join(gone, plain[name["doc_id"]].eqNullSafe(gone["gone"]), "left_anti").toDF(*docs.columns)
