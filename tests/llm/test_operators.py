@@ -5,12 +5,13 @@ import math
 import re
 import zlib
 from collections import Counter, defaultdict
+from fractions import Fraction
 
 import duckdb
 import numpy as np
 import pytest
 
-from groupshift.llm import chat, exact_dedup, knn, lm, mixing, near_dedup, packing, queries, secrets, toxicity, warc
+from groupshift.llm import chat, common, exact_dedup, knn, lm, mixing, near_dedup, packing, queries, secrets, toxicity, warc
 from groupshift.llm.common import table
 
 DOCS = "doc_id long, text string, lang string, source string, n_chars long, key long, id string, sha string"
@@ -322,27 +323,73 @@ def test_exact_dedup(spark, odd, none):
     assert exact_dedup.exact_dedup(none).count() == 0 and exact_dedup.keep_first(none).count() == 0
 
 
+def test_exact_dedup_keeps_every_text(spark):
+    """Rows that repeat an id, or have none, are told apart by their texts; columns may have any name."""
+    rows = [(8, "short"), (8, "a longer text"), (None, "x"), (None, "yy"), (9, "zzz"), (9, "zzz"), (8, "zzz"), (None, "zzz"), (None, "x")]
+    df = spark.createDataFrame([(i, t, 1, 2, 3, 4, 5) for i, t in rows], "doc_id long, text string, kept_sha int, kept_id int, __sha int, id int, digest int")
+    for bound in (0, 2, 100):
+        kept = exact_dedup.keep_first(df, broadcast_rows=bound)
+        assert kept.columns == df.columns
+        same([(r.doc_id, r.text) for r in kept.collect()], [(8, "short"), (8, "a longer text"), (None, "x"), (None, "yy"), (8, "zzz")])
+        found = exact_dedup.exact_dedup(df, broadcast_rows=bound).collect()
+        same([(r.doc_id, r.keep_id, r.group_size) for r in found], [(8, 8, 1), (8, 8, 1), (None, None, 2), (None, None, 2), (None, None, 1), (9, 8, 4), (9, 8, 4), (8, 8, 4), (None, 8, 4)])
+        assert sum(r.kept for r in found) == 5
+
+
 # 7
 
 
+def brute_knn(rows, single=True):
+    good = []
+    for i, v, _ in rows:
+        if i is not None and v is not None and None not in v:
+            x = [float(np.float32(a)) if single else a for a in v]
+            if all(map(math.isfinite, x)):
+                good.append((i, [math.floor(Fraction(a) * 256) for a in x]))
+    want = []
+    for at, (q, v) in enumerate(good):
+        if q % 50 == 0:
+            scores = sorted((-sum(a * b for a, b in zip(v, w, strict=False)), i, j) for j, (i, w) in enumerate(good) if j != at)[:5]
+            want += [(q, rank + 1, i, min(knn.LONG_MAX, max(knn.LONG_MIN, -s))) for rank, (s, i, _) in enumerate(scores)]
+    return want
+
+
 def test_knn_odd_rows(spark):
     rng = np.random.default_rng(1)
     rows = [(i, [float(x) for x in rng.normal(size=6)], 0) for i in range(400)]
     rows += [(1000 + i, rows[50][1], 0) for i in range(40)]  # many equal vectors
-    rows += [(50, None, 0), (100, [1.0, None], 0), (150, [float("nan")] * 6, 0), (200, [float("inf")] * 6, 0), (None, rows[3][1], 0), (0, rows[1][1], 0), (450, [1.0], 0)]
+    rows += [(50, None, 0), (100, [1.0, None], 0), (150, [float("nan")] * 6, 0), (200, [float("inf")] * 6, 0), (None, rows[3][1], 0), (0, rows[1][1], 0), (450, [1.0], 0), (500, [], 0)]
     df = spark.createDataFrame(rows, "vec_id long, embedding array<float>, cell int")
-    good = [(i, np.floor(256 * np.array(np.float32(v), float))) for i, v, _ in rows if i is not None and v is not None and None not in v and np.isfinite(v).all()]
-    want = []
-    for at, (q, v) in enumerate(good):
-        if q % 50 == 0:
-            scores = sorted((-int(sum(a * b for a, b in zip(v, w, strict=False))), i, j) for j, (i, w) in enumerate(good) if j != at)[:5]
-            want += [(q, rank + 1, i, -s) for rank, (s, i, _) in enumerate(scores)]
     for options in ({}, {"cells": 7, "block_rows": 20, "group_queries": 3}):
-        same(knn.top_k(df, **options).collect(), want)
+        same(knn.top_k(df, **options).collect(), brute_knn(rows))
     assert knn.top_k(df.limit(0)).count() == 0
     assert knn.top_k(df.where("vec_id = 50 or vec_id = 1001")).collect()[0].vec_id == 1001
 
 
+def test_knn_of_large_components(spark):
+    rng = np.random.default_rng(4)
+    rows = [(i, [float(x) for x in rng.normal(size=3)], 0) for i in range(60)]
+    rows += [(100, [3e9, 1.0], 0), (150, [5e9, 0.0], 0), (101, [1e30, -1e30], 0), (200, [-2.5e30, 1.0, 3e38], 0), (103, [1e30, 0.0], 0), (104, [2.0**45, 2.0**45 + 2.0**22], 0), (250, [2.0**20, 1.0], 0)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<float>, cell int")
+    for options in ({}, {"cells": 5, "block_rows": 4, "group_queries": 2}):
+        same(knn.top_k(df, **options).collect(), brute_knn(rows))
+    rows += [(300, [1.7e308, 1.0], 0), (105, [-1.7e308], 0), (106, [1e308, 1.0 / 3], 0)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>, cell int")
+    same(knn.top_k(df).collect(), brute_knn(rows, single=False))
+    only = spark.createDataFrame(rows[-3:], "vec_id long, embedding array<double>, cell int")
+    same(knn.top_k(only).collect(), brute_knn(rows[-3:], single=False))
+
+
+def test_knn_leaves_cells_out(spark):
+    rng = np.random.default_rng(2)
+    centres = rng.normal(size=(20, 8)) * 20
+    rows = [(i, [float(x) for x in centres[i % 20] + rng.normal(size=8) * 0.1], 0) for i in range(2000)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<float>, cell int")
+    found = knn.search(df, group_queries=4, block_rows=100)
+    same(found.result.collect(), brute_knn(rows))
+    assert found.pairs_needed <= found.pairs_solved < 0.5 * found.pairs
+
+
 # 8
 
 
@@ -524,6 +571,41 @@ def test_components(spark):
     same(got, want)
 
 
+# All
+
+
+HELPERS = "kept_sha kept_id __sha sha id uid alive n len head norm digest c0 c1 _k0 _salt _salts gone node label key k a b _words _d _s _n _copies _i d s copies copy words taken size h part sid __text score predicted".split()
+
+
+@pytest.mark.parametrize("name", ["toxicity", "exact_dedup", "near_dedup", "mixing"])
+def test_columns_may_have_any_name(spark, sf, name):
+    """A stage gives the same rows when the table has columns named as the stages' own helpers."""
+    import corpus_pipeline
+
+    stage = dict(corpus_pipeline.STAGES)[name]
+    plain = spark.createDataFrame([(r[0], r[1], r[2], r[3], r[4]) for r in ODD], "doc_id long, text string, lang string, source string, n_chars long")
+    clashing = plain.select("*", *[lm.F.lit(77).alias(h) for h in HELPERS])
+    got = stage(spark, clashing, sf)
+    assert got.columns == clashing.columns
+    rows = got.collect()
+    assert all(tuple(r)[5:] == (77,) * len(HELPERS) for r in rows)
+    same([tuple(r)[:5] for r in rows], stage(spark, plain, sf).collect())
+
+
+def test_salted_join(spark):
+    rows = [(i, i % 3 if i % 2 else 7) for i in range(1000)] + [(5000, None)]
+    left = spark.createDataFrame(rows, "uid long, key long")
+    right = left.groupBy("key").agg(lm.F.count(lm.F.lit(1)).alias("n")).where("key <> 1")
+    for most in (1, 256):
+        common.LEAST_SPLIT = most
+        try:
+            same(common.salted_join(left, right, ["key"], "n", 1000, 100).collect(), left.join(right, "key").select("key", "uid", "n").collect())
+            assert common.salted_join(left, right, ["key"], "n", 1000, 100, how="left_semi").count() == left.join(right, "key", "left_semi").count()
+            assert common.salted_join(left, right, ["key"], "n", 1000, 100, how="left").count() == 1001
+        finally:
+            common.LEAST_SPLIT = 256
+
+
 # The pipeline
 
 
