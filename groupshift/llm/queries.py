@@ -65,7 +65,7 @@ def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op9_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     held_out = crc_of("doc_id") % 7 == 2
-    model, counts = lm.learn(docs.where(~held_out))
+    model, counts = lm.learn(docs, held_out)
     return lm.score_documents(docs, model, counts, held_out)
 
 
