@@ -24,8 +24,8 @@ WORDS = 5
 SYMBOLS = 128
 CHUNKS = 10
 CHUNK = 4
-#: Of SYMBOLS, at least so many agree in any pair that is to be confirmed: at a similarity of 0.75 the expected
-#: number is 96 with a deviation of 4.9, so that a pair falls below this with a probability of about 3e-6.
+#: Of SYMBOLS, at least so many agree in any pair that is to be confirmed, unless least_agree says otherwise: at a similarity of
+#: 0.75 the expected number is 96 with a deviation of 4.9, so that a pair falls below this with a probability of about 3e-6.
 LEAST_AGREE = 74
 #: Rounds after the first in which a key's members are checked against one of them only, before all that are apart are compared.
 ROUNDS = 1
@@ -33,6 +33,12 @@ BROADCAST_ROWS = 1_000_000
 BLOCK = 4096
 #: Shingles of the sets that meet in a hub's task, from each of its two blocks: 32 MB.
 BLOCK_HASHES = 4_000_000
+#: A key of more members still apart than this is split by further symbols before they are compared.
+REFINE = 200_000
+#: Symbols of a finer chunk; SYMBOLS // FINE of them can be told apart.
+FINE = 2
+#: Bytes of full sets that a task confirming pairs reads, about.
+CONFIRM_BYTES = 32_000_000
 
 
 class _Hashes(dict):
@@ -140,7 +146,7 @@ def _keys(sets: DataFrame) -> DataFrame:
     return sets.select("node", "sig").mapInArrow(frugal(run), "key long, node long")
 
 
-def _plausible(pairs: DataFrame, sets: DataFrame, share: tuple[int, int]) -> DataFrame:
+def _plausible(pairs: DataFrame, sets: DataFrame, share: tuple[int, int], least_agree: int) -> DataFrame:
     """Pairs (a, b) whose sizes allow the similarity and whose signatures agree often enough."""
     left = sets.select(F.col("node").alias("a"), F.col("n").alias("n_a"), F.col("sig").alias("sig_a"))
     right = sets.select(F.col("node").alias("b"), F.col("n").alias("n_b"), F.col("sig").alias("sig_b"))
@@ -153,14 +159,14 @@ def _plausible(pairs: DataFrame, sets: DataFrame, share: tuple[int, int]) -> Dat
         for batch in batches:
             if len(batch):
                 agree = (_matrix(batch.column("sig_a")) == _matrix(batch.column("sig_b"))).sum(1)
-                yield batch.select(["a", "b"]).filter(pa.array(agree >= LEAST_AGREE))
+                yield batch.select(["a", "b"]).filter(pa.array(agree >= least_agree))
 
     return both.mapInArrow(frugal(run), "a long, b long")
 
 
 def _full_sets(nodes: DataFrame, most: int, sets: DataFrame, docs: DataFrame, words: int, broadcast_rows: int) -> DataFrame:
     """(node, hashes) for the nodes asked for, most rows of them, built anew from their texts."""
-    wanted = work_table(nodes.select("node").distinct().join(sets.select("node", "set_id", "first_doc"), "node"), "asked", most)
+    wanted = work_table(nodes.select("node").distinct().join(sets.select("node", "set_id", "first_doc", "n"), "node"), "asked", most)
     ids, n = wanted.select(F.col("first_doc").alias("rid")).distinct(), wanted.count()
     if n <= broadcast_rows:
         ids, wanted = F.broadcast(ids), F.broadcast(wanted)
@@ -177,12 +183,13 @@ def _full_sets(nodes: DataFrame, most: int, sets: DataFrame, docs: DataFrame, wo
                 yield pa.RecordBatch.from_arrays([pa.array(keys, pa.binary()), pa.array(data, pa.binary())], names=["built_id", "hashes"])
 
     built = rows.mapInArrow(frugal(build), "built_id binary, hashes binary")
-    full = built.join(wanted, F.col("built_id") == F.col("set_id")).select("node", "hashes")
-    return work_table(full.groupBy("node").agg(F.first("hashes").alias("hashes")), "full_sets", n, 10_000)
+    full = built.join(wanted.select("node", "set_id"), F.col("built_id") == F.col("set_id")).select("node", "hashes")
+    mean = wanted.agg(F.avg("n")).first()[0] or 1
+    return work_table(full.groupBy("node").agg(F.first("hashes").alias("hashes")), "full_sets", n, max(1, int(CONFIRM_BYTES / (8 * mean))))
 
 
-def _confirmed(pairs: DataFrame, n: int, full: DataFrame, share: tuple[int, int]) -> DataFrame:
-    """The pairs, n of them, whose full shingle sets have intersection / union of share or more."""
+def _confirmed(pairs: DataFrame, n: int, full: DataFrame, share: tuple[int, int], each: int) -> DataFrame:
+    """The pairs, n of them, whose full shingle sets have intersection / union of share or more; each pairs to a task."""
     both = (
         pairs.join(full.select(F.col("node").alias("b"), F.col("hashes").alias("set_b")), "b")
         .join(full.select(F.col("node").alias("a"), F.col("hashes").alias("set_a")), "a")
@@ -201,23 +208,24 @@ def _confirmed(pairs: DataFrame, n: int, full: DataFrame, share: tuple[int, int]
                 keep.append(share[1] * common >= share[0] * (len(x) + len(y) - common))
             yield batch.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
-    return work_table(both.mapInArrow(frugal(confirm), "a long, b long"), "links", n, 50_000)
+    return work_table(both.mapInArrow(frugal(confirm), "a long, b long"), "links", max(1, n), each)
 
 
 def components(links: DataFrame) -> DataFrame:
     """node, label for the nodes of links (a, b): label is the smallest node that links lead to.
 
     Large-star and small-star steps by turns, each written to the shared folder, until the edges stay the same.
-    Neighbours' minima are summed before the exchange, so a node with very many links is no single task.
+    Neighbours' minima are summed before the exchange, and the rows of a node with very many links are split, so that no
+    such node is a single task.
     """
     edges = links.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u > v").distinct()
     seen, n = None, links.count()
     while True:
         both = edges.unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        least = both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"))
-        large = both.join(least, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u > v").distinct()
-        least = large.groupBy("u").agg(F.min("v").alias("m"))
-        small = large.join(least, "u").select("u", "v", "m")
+        least = both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"), F.count(F.lit(1)).alias("degree"))
+        large = salted_join(both, least, ["u"], "degree", 2 * n).where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u > v").distinct()
+        least = large.groupBy("u").agg(F.min("v").alias("m"), F.count(F.lit(1)).alias("degree"))
+        small = salted_join(large, least, ["u"], "degree", n).select("u", "v", "m")
         small = small.select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(small.select("u", F.col("m").alias("v")))
         edges = work_table(small.where("u > v").distinct(), "edges", n)
         now = tuple(edges.agg(F.count(F.lit(1)), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first())
@@ -242,21 +250,42 @@ def _mixed(keys: DataFrame) -> DataFrame:
     return stats.where("members > 2 and labels > 1").select("k", "members", (-F.col("top.back")).alias("hub"))
 
 
-def _stars(keys: DataFrame, turn: int) -> DataFrame:
+def _stars(keys: DataFrame, turn: int, total: int) -> DataFrame:
     """Pairs (a, b) of a key's members with one of them, another for each key and turn, where components differ."""
     order = F.xxhash64("node", "key", F.lit(turn))
-    heads = keys.groupBy(F.col("key").alias("k")).agg(F.min(F.struct(order.alias("o"), "node", "label")).alias("head"))
-    apart = keys.join(heads, F.col("key") == F.col("k")).where(F.col("label") != F.col("head.label"))
+    heads = keys.groupBy("key").agg(F.min(F.struct(order.alias("o"), "node", "label")).alias("head"), F.count(F.lit(1)).alias("members"))
+    apart = salted_join(keys, heads, ["key"], "members", total).where(F.col("label") != F.col("head.label"))
     return apart.select(F.least("node", "head.node").alias("a"), F.greatest("node", "head.node").alias("b")).distinct()
 
 
-def _lookalikes(keys: DataFrame, sets: DataFrame, share: tuple[int, int]) -> DataFrame:
+def _refined(rows: DataFrame, least_agree: int) -> DataFrame:
+    """Members of a very large key under finer keys: those that agree in a chunk of FINE symbols as well.
+
+    Of SYMBOLS // FINE chunks, two sets that agree in least_agree symbols share one of any SYMBOLS - least_agree + 1.
+    """
+    chunks = F.sequence(F.lit(0), F.lit(SYMBOLS - least_agree))
+    rows = rows.withColumn("chunk", F.explode(chunks))
+    part = F.expr(f"substring(sig, chunk * {2 * FINE} + 1, {2 * FINE})")
+    rows = rows.withColumn("key", F.xxhash64("key", "chunk", part)).drop("chunk", "members")
+    sizes = rows.groupBy("key").agg(F.count(F.lit(1)).alias("members")).where("members > 1")
+    total = sizes.agg(F.sum("members")).first()[0] or 0
+    return salted_join(rows, sizes, ["key"], "members", total)
+
+
+def _lookalikes(keys: DataFrame, sets: DataFrame, share: tuple[int, int], total: int, least_agree: int) -> DataFrame:
     """(hub, node, label, n): nodes with a lookalike, by size and signature, of another component under one key.
 
-    keys is (key, node, label). A key's members are dealt into blocks of about BLOCK; a task compares two blocks.
+    keys is (key, node, label). A key's members are dealt into blocks of about BLOCK; a task compares two blocks. A key of more
+    than REFINE members goes by finer keys first, so that work grows with its size, not with the square of it.
     """
-    mixed = _mixed(keys).select("k", "hub", F.ceil(F.col("members") / BLOCK).cast("int").alias("blocks"))
-    rows = keys.join(mixed, F.col("key") == F.col("k")).join(sets.select(F.col("node").alias("snode"), "n", "sig"), F.col("node") == F.col("snode"))
+    mixed = _mixed(keys)
+    rows = salted_join(keys, mixed.withColumnRenamed("k", "key"), ["key"], "members", total)
+    rows = rows.join(sets.select(F.col("node").alias("snode"), "n", "sig"), F.col("node") == F.col("snode")).select("key", "node", "label", "n", "sig", "hub", "members")
+    if SYMBOLS - least_agree + 1 <= SYMBOLS // FINE:
+        large = F.col("members") > REFINE
+        if not mixed.where(large).isEmpty():
+            rows = rows.where(~large).unionByName(_refined(rows.where(large), least_agree).select(*rows.columns))
+    rows = rows.withColumn("blocks", F.ceil(F.col("members") / BLOCK).cast("int"))
     rows = _dealt(rows, "key").select("key", "i", "j", "own", "node", "label", "n", "sig", "hub")
 
     def compare(batches):
@@ -275,7 +304,7 @@ def _lookalikes(keys: DataFrame, sets: DataFrame, share: tuple[int, int]) -> Dat
                 i, j = np.nonzero(ok)
                 for part in range(0, len(i), 65536):
                     a, b = left[at + i[part : part + 65536]], right[j[part : part + 65536]]
-                    close = (sig[a] == sig[b]).sum(1) >= LEAST_AGREE
+                    close = (sig[a] == sig[b]).sum(1) >= least_agree
                     like[a[close]] = like[b[close]] = True
             yield pa.RecordBatch.from_arrays([pa.array(v[like], pa.int64()) for v in (hub, node, label, n)], schema=schema)
 
@@ -360,50 +389,60 @@ def _hub_links(alike: DataFrame, full: DataFrame, share: tuple[int, int]) -> Dat
     return work_table(dealt.mapInArrow(frugal(link), "a long, b long"), "links")
 
 
-def near_duplicates(docs: DataFrame, share: tuple[int, int] = (75, 100), words: int = WORDS, broadcast_rows: int = BROADCAST_ROWS) -> DataFrame:
+def near_duplicates(
+    docs: DataFrame, share: tuple[int, int] = (75, 100), words: int = WORDS, broadcast_rows: int = BROADCAST_ROWS, least_agree: int = LEAST_AGREE
+) -> DataFrame:
     """doc_id, n_shingles, component_id, kept for every row of docs (doc_id, text).
 
     Documents are linked when the intersection of their sets of shingles is at least share of the union. component_id is
     the smallest doc_id that links lead to, the document's own included; kept is whether that is its own. A null or empty
     text has an empty set and is linked with nothing. A null doc_id is larger than any other. Rows with equal sets
     share a component, rows that repeat a doc_id included. Texts are read whole. An empty table gives no rows.
+
+    The index finds every pair whose indexed symbols differ in 2 * CHUNKS - 1 places at most. Of these, pairs of which fewer than least_agree
+    symbols of all agree are not confirmed: 0 confirms every pair that the index finds, at more cost.
     """
     rows = work_table(_sketched(docs, words), "sketches")
     # Equal sets are one node; copies need no comparing. Partial sums come first, whatever the number of copies.
-    sets = rows.where("set_id is not null").groupBy("set_id").agg(F.min("doc_id").alias("first_doc"), F.first("n").alias("n"), F.first("sig").alias("sig"))
+    sets = rows.where("set_id is not null").groupBy("set_id").agg(F.min("doc_id").alias("first_doc"), F.first("n").alias("n"), F.first("sig").alias("sig"), F.count(F.lit(1)).alias("copies"))
     sets = work_table(sets.withColumn("node", F.monotonically_increasing_id()), "sets")
+    n_keys = sets.count() * CHUNKS * CHUNK
     keys = _keys(sets)
-    heads = keys.groupBy(F.col("key").alias("k")).agg(F.min("node").alias("a"), F.max("node").alias("last")).where("a < last")
-    stars = keys.join(heads, F.col("key") == F.col("k")).where("node > a").select("a", F.col("node").alias("b")).distinct()
-    tried = work_table(_plausible(stars, sets, share), "stars")
+    heads = keys.groupBy("key").agg(F.min("node").alias("a"), F.count(F.lit(1)).alias("members")).where("members > 1")
+    stars = salted_join(keys, heads, ["key"], "members", n_keys).where("node > a").select("a", F.col("node").alias("b")).distinct()
+    tried = work_table(_plausible(stars, sets, share, least_agree), "stars")
     build = lambda nodes, most: _full_sets(nodes, most, sets, docs, words, broadcast_rows)
 
     def confirmed(pairs):
         n = pairs.count()
-        return _confirmed(pairs, n, build(pairs.select(F.explode(F.array("a", "b")).alias("node")), 2 * n), share)
+        full = build(pairs.select(F.explode(F.array("a", "b")).alias("node")), 2 * n)
+        mean = full.agg(F.avg(F.octet_length("hashes"))).first()[0] or 1
+        return _confirmed(pairs, n, full, share, max(1, int(CONFIRM_BYTES / (2 * mean))))
 
     links = confirmed(tried)
     labels = components(links)
     # Only keys whose members are in different components matter from here on.
     keys = _labelled(keys, labels)
+    total = n_keys
     for turn in range(ROUNDS + 1):
-        keys = work_table(keys.join(_mixed(keys), F.col("key") == F.col("k"), "left_semi"), "apart")
-        if keys.isEmpty():
+        keys = work_table(salted_join(keys, _mixed(keys).select(F.col("k").alias("key"), "members"), ["key"], "members", total, how="left_semi"), "apart")
+        total = keys.count()
+        if not total:
             break
         if turn < ROUNDS:
-            found = confirmed(work_table(_plausible(_stars(keys, turn), sets, share), "more_pairs"))
+            found = confirmed(work_table(_plausible(_stars(keys, turn, total), sets, share, least_agree), "more_pairs"))
         else:
-            alike = work_table(_lookalikes(keys, sets, share), "alike")
+            alike = work_table(_lookalikes(keys, sets, share, total, least_agree), "alike")
             found = _hub_links(alike, build(alike, alike.count()), share)
         if not found.isEmpty():
             links = links.unionByName(found)
             labels = components(links)
             keys = _labelled(keys.select("key", "node"), labels)
     named = sets.join(labels.withColumnRenamed("node", "lnode"), F.col("node") == F.col("lnode"), "left")
-    named = named.select("set_id", "first_doc", F.coalesce("label", "node").alias("label"))
-    least = named.groupBy(F.col("label").alias("l")).agg(F.min("first_doc").alias("component"))
-    named = named.join(least, F.col("label") == F.col("l")).select(F.col("set_id").alias("sid"), "component")
-    found = rows.select("doc_id", "n", "set_id").join(named, F.col("set_id") == F.col("sid"), "left")
+    named = work_table(named.select("set_id", "first_doc", "copies", F.coalesce("label", "node").alias("label")), "labelled")
+    least = named.groupBy("label").agg(F.min("first_doc").alias("component"), F.count(F.lit(1)).alias("members"))
+    named = salted_join(named, least, ["label"], "members", n_keys).select("set_id", "component", "copies")
+    found = salted_join(rows.select("doc_id", "n", "set_id"), named, ["set_id"], "copies", rows.count(), how="left")
     component = F.when(F.col("set_id").isNull(), F.col("doc_id")).otherwise(F.col("component"))
     return found.select("doc_id", F.col("n").alias("n_shingles"), component.alias("component_id"), component.eqNullSafe(F.col("doc_id")).alias("kept"))
 
