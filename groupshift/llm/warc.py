@@ -13,7 +13,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import shared_folder, work_table
+from .common import salted_join, shared_folder, work_table
 
 #: Most repeated pages whose ids go to every executor; about 100 bytes each.
 BROADCAST_ROWS = 500_000
@@ -133,11 +133,16 @@ def records(archive: Archive, *payload_columns: Column) -> DataFrame:
     """
     content = verified(archive).select("sha256", "payload_bytes", *(payload_columns or (F.col("payload"),)))
     heads = archive.headers.select(
-        "page_id", "url", "header", F.col("sha256").alias("key"), F.regexp_extract(F.col("header").cast("string"), r"WARC-Type: (\w+)", 1).alias("record_type"),
+        "page_id", "url", "header", "sha256", F.regexp_extract(F.col("header").cast("string"), r"WARC-Type: (\w+)", 1).alias("record_type"),
         F.regexp_extract(_field("WARC-Payload-Digest"), "sha1:(.*)", 1).alias("header_digest"),
         F.regexp_extract(_field("WARC-Refers-To"), r"<urn:page:(-?\d+)>", 1).try_cast("long").alias("refers_to"),
     )
-    return heads.join(content, heads["key"] == content["sha256"]).drop("key")
+    # Records of a payload that very many share are split, and the payload repeated for each part.
+    uses = work_table(archive.headers.groupBy("sha256").agg(F.count(F.lit(1)).alias("uses")).where("uses > 1"), "uses")
+    if uses.isEmpty():
+        return heads.join(content, "sha256")
+    content = content.join(uses, "sha256", "left").withColumn("uses", F.coalesce("uses", F.lit(1).cast("long")))
+    return salted_join(heads, content, ["sha256"], "uses", archive.headers.count()).drop("uses")
 
 
 def original_records(archive: Archive) -> DataFrame:
