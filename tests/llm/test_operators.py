@@ -441,8 +441,31 @@ def test_toxicity_learns_from_all_but_copies(spark):
 # 9
 
 
+def brute_lm(model, counts, text):
+    """log10 probability of a text, token by token, from the parameters and the table of counts."""
+    p, index = model.params, {w: i + 2 for i, w in enumerate(model.words[: model.n_vectors])}
+    members = [np.flatnonzero(model.cls == c) for c in range(len(model.start))]
+    found = [w.encode("utf-8", "surrogatepass") for w in lowered(text)]
+    items, total = [lm.END] * model.places, 0.0
+    for w in [*found, None]:
+        item = lm.END if w is None else index.get(w, lm.REST)
+        h = sum(p["context"][items[-1 - k]].astype(float) * p["place"][k] for k in range(model.places))
+        own = model.cls[item]
+        scores = np.exp(p["class"] @ h + p["class_bias"])
+        inside = np.exp(p["word"][members[own]] @ h + p["word_bias"][members[own]])
+        total += math.log10(scores[own] / scores.sum()) + math.log10(inside[item - members[own][0]] / inside.sum())
+        if item == lm.REST:
+            total += math.log10((counts.get(lm.word_key(w), 0) + 1) / (model.n_rest + model.v_rest + 1))
+        items.append(item)
+    return total
+
+
 def test_lm(spark, sf, docs):
-    found = {r.doc_id: r for r in queries.op9_lm(spark, sf).collect()}
+    held_out = common.crc_of("doc_id") % 7 == 2
+    rows = table(spark, sf, "documents")
+    model, table_of_counts = lm.learn(rows, held_out)
+    known = {bytes(r.word): r.c for r in table_of_counts.collect()}
+    found = {r.doc_id: r for r in lm.score_documents(rows, model, table_of_counts, held_out).collect()}
     c, ends = Counter(), 0
     for d, t, _ in docs:
         if zlib.crc32(str(d).encode()) % 7 != 2:
@@ -454,35 +477,52 @@ def test_lm(spark, sf, docs):
         r = found[d]
         assert (r.n_tokens, r.n_known, r.train_tokens) == (len(counts), sum(x > 0 for x in counts), n)
         assert r.base_score == pytest.approx(sum(math.log10((x + 1) / (n + v + 1)) for x in counts), rel=1e-9)
+    for d, t, _ in docs[::8]:
+        assert found[d].score == pytest.approx(brute_lm(model, known, t), rel=1e-5)
     held = [r for r in found.values() if r.held_out]
-    assert sum(r.score for r in held) > sum(r.base_score for r in held) + 0.05 * sum(r.n_tokens for r in held)
+    assert sum(r.score for r in held) > sum(r.base_score for r in held) + 0.1 * sum(r.n_tokens for r in held)
+    same([tuple(r)[:6] for r in queries.op9_lm(spark, sf).collect()], [tuple(r)[:6] for r in found.values()])
 
 
 def test_lm_is_normalised_and_joins_rare_words(spark, odd, none):
-    texts = spark.createDataFrame([(f"a b a c w{i % 40} z{i}",) for i in range(200)], "text string")
-    model, counts = lm.learn(texts, n_classes=3, hot_words=20)
-    assert np.allclose((10.0 ** model.table.astype(float)).sum(1), 1, atol=1e-4)
-    assert len(model.words) <= 20 and model.n_classes == 3
-    table = dict((bytes(r.word), r.c) for r in counts.collect())
-    rest = sum((x + 1) for w, x in table.items() if w not in model.words[:3]) + 1
+    texts = spark.createDataFrame([(i, f"a b a c w{i % 40} z{i} {'y' * 100} {'x' * 100 if i == 3 else ''}") for i in range(200)], "doc_id long, text string")
+    held = lm.F.col("doc_id") >= 190
+    model, counts = lm.learn(texts, held, least_count=100, hot_words=20, most_classes=4, places=2)
+    assert len(model.words) <= 20 and model.n_vectors == 4 and len(model.start) < len(model.cls) == 6
+    contexts = np.array([(i, j) for i in range(6) for j in range(6)]).T
+    total = sum(10 ** lm.log_probabilities(model, contexts, np.full(36, w)) for w in range(6))
+    assert np.allclose(total, 1, atol=1e-5)
+    table = {bytes(r.word): (r.c, r.a) for r in counts.collect()}
+    assert table[b"a"] == (380, 400) and table[b"z195"] == (0, 1) and table[lm.word_key(b"y" * 100)] == (190, 200)
+    rest = sum(x + 1 for w, (x, _) in table.items() if x and w not in model.words[:4]) + 1
     assert rest == model.n_rest + model.v_rest + 1
-    probe = spark.createDataFrame([(1, "a z3 never w1"), (2, None)], "doc_id long, text string")
-    r = sorted(lm.score_documents(probe, model, counts, lm.F.lit(False)).collect())
-    logs = [math.log10((table.get(w, 0) + 1) / (model.n + model.v + 1)) for w in (b"a", b"z3", b"never", b"w1")]
-    assert r[0].base_score == pytest.approx(sum(logs) + math.log10(201 / (model.n + model.v + 1)))
-    assert (r[0].n_known, r[0].n_tokens, r[1].n_tokens) == (4, 5, 1)
-    place = {w: i + 2 for i, w in enumerate(model.words[:3])}
-    score, last = 0.0, lm.END
-    for w in (b"a", b"z3", b"never", b"w1"):
-        now = place.get(w, lm.REST)
-        score += model.table[last, now] + (0 if now else math.log10((table.get(w, 0) + 1) / rest))
-        last = now
-    assert r[0].score == pytest.approx(score + model.table[last, lm.END], abs=1e-4)
+    own = {w: x for w, (x, _) in table.items()}
+    rows = [(1, "a z3 never w1 z195"), (2, None), (3, "A b " + "x" * 100 + " " + "v" * 100 + " c")]
+    r = sorted(lm.score_documents(spark.createDataFrame(rows, "doc_id long, text string"), model, counts, lm.F.lit(False)).collect())
+    for got, (_, text) in zip(r, rows, strict=True):
+        logs = [math.log10((own.get(lm.word_key(w.encode()), 0) + 1) / (model.n + model.v + 1)) for w in lowered(text)]
+        assert got.base_score == pytest.approx(sum(logs) + math.log10(191 / (model.n + model.v + 1)))
+        assert got.score == pytest.approx(brute_lm(model, own, text), rel=1e-5)
+    assert (r[0].n_known, r[0].n_tokens, r[1].n_tokens, r[2].n_known) == (4, 6, 1, 5)
     for some in (odd, none):
-        m, k = lm.learn(some)
+        m, k = lm.learn(some, lm.F.lit(False))
         assert lm.score_documents(some, m, k, lm.F.lit(True)).count() == some.count()
-    m, k = lm.learn(none)
-    assert lm.score_documents(odd, m, k, lm.F.lit(True)).count() == len(ODD)
+    m, k = lm.learn(odd, lm.F.lit(True))
+    assert m.n == 0 and lm.score_documents(odd, m, k, lm.F.lit(True)).count() == len(ODD)
+
+
+def test_lm_learns_contexts(spark):
+    """Words that follow others are learned, more than their counts say, over several tasks and rounds."""
+    rng = np.random.default_rng(6)
+    rows = [(i, " ".join(f"{chr(97 + k)}x {chr(97 + k)}y" for k in rng.integers(0, 6, 40))) for i in range(3000)]
+    texts = spark.createDataFrame(rows, "doc_id long, text string").repartition(4)
+    before, lm.TASK_TOKENS = lm.TASK_TOKENS, 10_000
+    try:
+        model, counts = lm.learn(texts, lm.F.col("doc_id") >= 2700)
+    finally:
+        lm.TASK_TOKENS = before
+    held = lm.score_documents(texts, model, counts, lm.F.col("doc_id") >= 2700).where("held_out").agg(lm.F.sum("score"), lm.F.sum("base_score"), lm.F.sum("n_tokens")).first()
+    assert (held[0] - held[1]) / held[2] > 0.25  # log10(12) / 2 = 0.54 is the most
 
 
 # 10
@@ -532,6 +572,38 @@ def test_near_dedup_of_families(spark):
     assert all(r.kept == (r.doc_id == r.component_id) for r in found)
 
 
+def test_near_dedup_in_small_blocks(spark, monkeypatch):
+    """Keys and hubs of several blocks, and keys split by further symbols, give the same components."""
+    rng = np.random.default_rng(8)
+    passage = " ".join(f"p{i}" for i in range(90))
+    rows = [(i, passage + " " + " ".join(f"q{x}" for x in rng.integers(0, 10**6, 20 + i % 25))) for i in range(120)]
+    rows += [(1000 + i, passage + " " + " ".join(f"r{x}" for x in range(i % 7 * 100, i % 7 * 100 + 15)) + f" s{i}") for i in range(60)]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    want = brute_components(rows)
+    monkeypatch.setattr(near_dedup, "ROUNDS", 0)
+    for block, hashes, refine in ((8, 500, 10**9), (4096, 4_000_000, 10), (16, 4_000_000, 20)):
+        monkeypatch.setattr(near_dedup, "BLOCK", block)
+        monkeypatch.setattr(near_dedup, "BLOCK_HASHES", hashes)
+        monkeypatch.setattr(near_dedup, "REFINE", refine)
+        same([(r.doc_id, r.n_shingles, r.component_id) for r in near_dedup.near_duplicates(df).collect()], want)
+
+
+def test_near_dedup_recall(spark):
+    """Pairs at a similarity of 0.75 to 0.80, with and without the check of all symbols: none is lost among 1,500."""
+    rng = np.random.default_rng(9)
+    rows, pairs = [], 0
+    for i in range(1500):
+        base = [f"f{i}w{x}" for x in range(204)]
+        n = int(rng.integers(23, 29))  # 200 shingles; n new words at the end leave 200 - n of 200 + n
+        while 100 * (200 - n) < 75 * (200 + n):
+            n -= 1
+        rows += [(2 * i, " ".join(base)), (2 * i + 1, " ".join(base[:-n] + [f"f{i}n{x}" for x in range(n)]))]
+        pairs += 1
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    for least in (near_dedup.LEAST_AGREE, 0):
+        assert near_dedup.near_duplicates(df, least_agree=least).where("not kept").count() == pairs
+
+
 def test_near_dedup_odd_rows(spark, odd, none):
     for bound in (0, 100):
         found = near_dedup.near_duplicates(odd, broadcast_rows=bound).collect()
