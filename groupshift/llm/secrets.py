@@ -47,22 +47,47 @@ EXTRA = (
 #: A query is True (no mandatory trigram), a trigram, or ("and" | "or", queries).
 Query = bool | str | tuple
 
-_MOST_STRINGS, _MOST_CLASS = 64, 4
+#: Up to so many strings are followed; beyond them the pattern counts as opaque there.
+_MOST_STRINGS = 64
+
+
+def _needs(query: Query) -> frozenset:
+    """The parts that all must hold."""
+    return frozenset(query[1] if isinstance(query, tuple) and query[0] == "and" else [query])
 
 
 def _join(op: str, parts) -> Query:
-    """and / or of queries, with True taken out; equal parts count once."""
+    """and / or of queries, with True taken out; equal parts count once, and parts that others imply are left out."""
     flat = []
     for part in parts:
         flat += part[1] if isinstance(part, tuple) and part[0] == op else [part]
     if op == "or" and (True in flat or not flat):
         return True
     flat = list(dict.fromkeys(x for x in flat if x is not True))
+    if op == "or":
+        # A branch that asks for all that another asks for, and more, adds nothing.
+        flat = [x for x in flat if not any(_needs(y) < _needs(x) for y in flat)]
+    else:
+        sure = set(flat)
+        flat = [x for x in flat if not (isinstance(x, tuple) and any(_needs(y) <= sure for y in x[1]))]
     if not flat:
         return True
     return flat[0] if len(flat) == 1 else (op, tuple(flat))
 
 
+def _letters(members) -> set[str] | None:
+    """The characters of a class, in lower case, if they are few; None for negated and named classes."""
+    out: set[str] = set()
+    for kind, value in members:
+        if kind is sre.LITERAL:
+            out.add(chr(value).lower())
+        elif kind is sre.RANGE and value[1] - value[0] < 4 * _MOST_STRINGS:
+            out |= {chr(c).lower() for c in range(value[0], value[1] + 1)}
+        else:
+            return None
+    return out if len(out) <= _MOST_STRINGS else None
+
+
 def _grams(strings: set[str]) -> Query:
     """What a text that holds one of the strings must contain."""
     return _join("or", [_join("and", [s[i : i + 3] for i in range(len(s) - 2)] or [True]) for s in sorted(strings)])
@@ -81,8 +106,8 @@ def _walk(items) -> tuple[set[str] | None, Query]:
         options, query = None, True
         if op is sre.LITERAL:
             options = {chr(value).lower()}
-        elif op is sre.IN and all(kind is sre.LITERAL for kind, _ in value) and len(value) <= _MOST_CLASS:
-            options = {chr(c).lower() for _, c in value}
+        elif op is sre.IN:
+            options = _letters(value)
         elif op is sre.SUBPATTERN:
             options, query = _walk(value[3])
         elif op is sre.BRANCH:

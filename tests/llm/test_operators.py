@@ -190,13 +190,38 @@ def test_secrets(spark, sf, docs, odd, none):
     assert secrets.find_secrets(none).count() == 0
 
 
+def test_trigram_queries_hold_for_matches():
+    """Texts with a match satisfy the rule's query, whatever letters a class takes."""
+    rng = np.random.default_rng(3)
+    made = {
+        "forge": lambda: f"gh{rng.choice(list('pousr'))}_" + "Ab1" * 12, "assign": lambda: f"{rng.choice(['PassWord', 'passwd', 'SECRET', 'token', 'apikey', 'API_KEY'])}{rng.choice(['', chr(34), chr(39)])} := "[:-4] + " = abcdef1",
+        "access": lambda: "AKIA" + "Z9" * 10, "bearer": lambda: "AUTHORIZATION: Bearer abcdefghijklmnopqr", "jwt": lambda: "eyJabcdefgh.abcdefgh.abcdefgh-_", "pem": lambda: "-----BEGIN RSA PRIVATE KEY-----",
+    }
+
+    def holds(query, text):
+        if isinstance(query, str):
+            return query in text
+        return (all if query[0] == "and" else any)(holds(x, text) for x in query[1])
+
+    for rule in secrets.BASE + secrets.EXTRA:
+        for _ in range(40 if rule.kind in made else 0):
+            text = f"x {made[rule.kind]()} y"
+            assert re.search(rule.pattern, text), (rule.kind, text)
+            assert holds(secrets.trigram_query(rule.pattern), text.lower())
+
+
 def test_trigram_queries():
     q = secrets.trigram_query
     assert q(r"AKIA[A-Z0-9]+") == ("and", ("aki", "kia"))
     assert q(r"[0-9a-f]{24,}") is True
     assert q(r"(abc|de)x") is not True and q(r"(abc|d)?") is True
     assert q(r"ab?cd") == ("or", (("and", ("abc", "bcd")), "acd"))
-    assert q("gh[pousr]_[A-Za-z0-9]{30,}") is True  # too many letters for one string each
+    assert q("gh[pousr]_[A-Za-z0-9]{30,}") == ("or", tuple(("and", (f"gh{c}", f"h{c}_")) for c in "oprsu"))
+    assert q("(abc|abcd|bcde)") == ("or", ("abc", ("and", ("bcd", "cde"))))  # abcd implies abc
+    assert q("[^a]bc[0-9]") == ("or", tuple(f"bc{d}" for d in range(10))) and q(r"\wab") is True
+    named = {r.kind: q(r.pattern) for r in secrets.BASE + secrets.EXTRA}
+    assert [k for k, x in named.items() if x is True] == ["hex"]
+    assert len(named["assign"][1]) == 6 and named["assign"][0] == "or"
 
 
 # 4
