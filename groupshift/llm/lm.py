@@ -62,20 +62,24 @@ def word_counts(docs: DataFrame, held_out: Column) -> DataFrame:
     def run(batches):
         import pyarrow as pa
 
-        training, others = Counter(), Counter()
+        every, aside = Counter(), Counter()
 
         def flush():
-            words = list(training | others)
-            c = [training[w] for w in words]
-            a = [training[w] + others[w] for w in words]
-            training.clear()
-            others.clear()
-            return pa.RecordBatch.from_arrays([pa.array(list(map(word_key, words)), pa.binary()), pa.array(c, pa.int64()), pa.array(a, pa.int64())], names=["word", "c", "a"])
+            words, a = list(every), list(every.values())
+            c = [n - aside[w] if w in aside else n for w, n in every.items()] if aside else a
+            if words and max(map(len, words)) > LONGEST:
+                words = list(map(word_key, words))
+            every.clear()
+            aside.clear()
+            return pa.RecordBatch.from_arrays([pa.array(words, pa.binary()), pa.array(c, pa.int64()), pa.array(a, pa.int64())], names=["word", "c", "a"])
 
         for batch in batches:
             for held, text in zip(batch.column("held").to_pylist(), each_text(batch.column("text")), strict=True):
-                (others if held else training).update(tokens(text))
-                if len(training) + len(others) > 200_000:
+                found = tokens(text)
+                every.update(found)
+                if held:
+                    aside.update(found)
+                if len(every) > 200_000:
                     yield flush()
         yield flush()
 
@@ -113,7 +117,7 @@ def _by_row(at, slopes):
     """The rows that occur in at, and the sum of slopes of each."""
     import numpy as np
 
-    order = np.argsort(at, kind="stable")
+    order = np.argsort(at.astype("u2") if at.max(initial=0) < 65536 else at, kind="stable")  # short keys are sorted by radix
     at = at[order]
     first = np.flatnonzero(np.concatenate(([True], at[1:] != at[:-1])))
     return at[first], np.add.reduceat(slopes[order], first, axis=0)
@@ -153,13 +157,14 @@ class Trainer:
         own = self.cls[target]
         # Classes: the minibatch shares its noise.
         fake = self.draw.choice(len(self.start), self.noise, p=self.share)
-        real = (h * p["class"][own]).sum(1) + p["class_bias"][own] - self.log_share[own]
-        others = h @ p["class"][fake].T + (p["class_bias"][fake] - self.log_share[fake])
-        slope = np.zeros((len(self.start), n), "f4")
-        np.add.at(slope, fake, (1 / (1 + np.exp(-others))).T)
-        slope[own, np.arange(n)] += 1 / (1 + np.exp(-real)) - 1
-        back = slope.T @ p["class"]
-        class_slope, bias_slope = slope @ h, slope.sum(1)
+        own_class, fake_class = p["class"][own], p["class"][fake]
+        real = 1 / (1 + np.exp(self.log_share[own] - p["class_bias"][own] - (h * own_class).sum(1))) - 1
+        others = 1 / (1 + np.exp((self.log_share[fake] - p["class_bias"][fake]) - h @ fake_class.T))
+        back = real[:, None] * own_class + others @ fake_class
+        class_slope = np.zeros((len(self.start), h.shape[1] + 1), "f4")
+        rows, slopes = _by_row(own, np.concatenate((real[:, None] * h, real[:, None]), 1))
+        class_slope[rows] = slopes
+        np.add.at(class_slope, fake, np.concatenate((others.T @ h, others.sum(0)[:, None]), 1))
         # Words among their classes: each token has noise of its own, drawn from its class by counts.
         at = np.flatnonzero(self.several[own])
         if len(at):
@@ -177,8 +182,8 @@ class Trainer:
             self._move("word", rows, slopes[:, :-1])
             self._move("word_bias", rows, slopes[:, -1])
         every = np.arange(len(self.start))
-        self._move("class", every, class_slope)
-        self._move("class_bias", every, bias_slope)
+        self._move("class", every, class_slope[:, :-1])
+        self._move("class_bias", every, class_slope[:, -1])
         place_slope = (vectors * back[None]).sum(1)
         rows, slopes = _by_row(context.ravel(), (p["place"][:, None, :] * back[None]).reshape(-1, h.shape[1]))
         self._move("context", rows, slopes)
@@ -199,7 +204,19 @@ def sequences(id_lists: list[list[int]], places: int):
     return np.stack([flat[positions - k - 1] for k in range(places)]), flat[positions], text
 
 
-def log_probabilities(model, context, target, step: int = 16384):
+def _log_sum(scores):
+    """The logarithm of each row's sum of exponentials."""
+    import numpy as np
+
+    with np.errstate(over="ignore"):
+        sums = np.exp(scores).sum(1)
+    if np.isfinite(sums).all() and (sums > 1e-25).all():
+        return np.log(sums)
+    top = scores.max(1, keepdims=True)
+    return np.log(np.exp(scores - top).sum(1)) + top[:, 0]
+
+
+def log_probabilities(model, context, target, step: int = 65536, rows_at_once: int = 4096):
     """log10 P(target | context) for tokens, by matrix products over batches; normalised over classes and within each class."""
     import numpy as np
 
@@ -208,20 +225,20 @@ def log_probabilities(model, context, target, step: int = 16384):
     for low in range(0, len(target), step):
         w = target[low : low + step]
         h = (p["context"][context[:, low : low + step]] * p["place"][:, None, :]).sum(0)
-        own = model.cls[w]
-        scores = h @ p["class"].T + p["class_bias"]
-        scores -= scores.max(1, keepdims=True)
-        found = scores[np.arange(len(w)), own] - np.log(np.exp(scores).sum(1))
-        order = np.argsort(own, kind="stable")
+        own, found = model.cls[w], out[low : low + step]
+        for at in range(0, len(w), rows_at_once):
+            scores = h[at : at + rows_at_once] @ p["class"].T + p["class_bias"]
+            hit = scores[np.arange(len(scores)), own[at : at + rows_at_once]]
+            found[at : at + rows_at_once] = hit - _log_sum(scores)
+        order = np.argsort(own.astype("u2"), kind="stable")
         bounds = np.searchsorted(own[order], np.arange(len(ends) + 1))
         for c in np.flatnonzero(np.diff(bounds)):
             first, last = model.start[c], ends[c]
             if last - first > 1:
                 rows = order[bounds[c] : bounds[c + 1]]
                 scores = h[rows] @ p["word"][first:last].T + p["word_bias"][first:last]
-                scores -= scores.max(1, keepdims=True)
-                found[rows] += scores[np.arange(len(rows)), w[rows] - first] - np.log(np.exp(scores).sum(1))
-        out[low : low + step] = found
+                hit = scores[np.arange(len(rows)), w[rows] - first]
+                found[rows] += hit - _log_sum(scores)
     return out / math.log(10)
 
 
@@ -266,7 +283,7 @@ def _round(texts: DataFrame, shared, batch_tokens: int) -> bytes | None:
                 held.append([index.get(w, REST) for w in tokens(text)])
                 size += len(held[-1]) + 1
                 seen = True
-                if size >= 32 * batch_tokens:
+                if size >= 16 * batch_tokens:
                     learn()
                     held, size = [], 0
         if held:
