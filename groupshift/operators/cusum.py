@@ -41,6 +41,15 @@ def cusum_blocked(panel: DataFrame, bucket: int = 4096, by: tuple[str, ...] = ()
     return local.select(*keys, "t", cusum_value(F.col("o") + F.col("l"), F.col("tot"), F.col("t"), F.col("n")).alias("cusum"))
 
 
+#: Times of a series that one task sorts; longer series go by blocks.
+LONG_SERIES = 65_536
+
+
+def cusum_of(panel: DataFrame, n: int, by: tuple[str, ...] = ()) -> DataFrame:
+    """The CUSUM of series of n times: by a window a series, or for long series by blocks of times; the values are the same."""
+    return cusum(panel, by) if n <= LONG_SERIES else cusum_blocked(panel, by=by)
+
+
 def cusum_intervals(panel: DataFrame, intervals: DataFrame, bucket: int = 64) -> DataFrame:
     """(q, series_id, t, cusum) for times s < t < e of each interval (q, s, e], t counted in the whole panel.
 

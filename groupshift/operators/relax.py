@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from groupshift import kernels
-from groupshift.sources.work import work_table
+from groupshift.sources.work import drop_table, work_table
 
 from .groups import sizes
 
@@ -65,7 +65,13 @@ def columns_of(c: DataFrame, value: str = "cusum") -> DataFrame:
 
 
 def membership(groups: DataFrame) -> dict[int, list[int]]:
-    """group -> members, on the driver: one number for each membership, as the direction has for each series."""
+    """group -> members, on the driver: one number for each membership, as the direction has for each series.
+
+    More than BROADCAST_ROWS memberships raise an error: solvers of whole columns need the grouping in every task.
+    """
+    n = groups.count()
+    if n > BROADCAST_ROWS:
+        raise ValueError(f"{n} memberships are more than {BROADCAST_ROWS}: use the closed form on disjoint groups")
     out: dict[int, list[int]] = {}
     for row in groups.orderBy("group_id", "series_id").toLocalIterator():
         out.setdefault(row["group_id"], []).append(row["series_id"])
@@ -93,12 +99,12 @@ def _emit(times, ids, m):
 
 def columnwise_dual(columns: DataFrame, groups: DataFrame, lam: float, tol: float = 1e-9, sweeps: int = 500) -> DataFrame:
     """The exact solution before normalising, column by column: one pass, no talk between columns, any overlap."""
-    members = membership(groups)
+    members = groups.sparkSession.sparkContext.broadcast(membership(groups))
 
     def run(batches):
         for batch in batches:
             if len(batch):
-                times, ids, c, g = _kernel_frame(batch, members)
+                times, ids, c, g = _kernel_frame(batch, members.value)
                 yield _emit(times, ids, kernels.columnwise_dual(c, g, lam, tol, sweeps))
 
     return columns.mapInPandas(run, _LONG)
@@ -113,7 +119,7 @@ def conditional_gradient(
     repeats the steps since from their known sums, and adds up the next two; every save_every steps the state is
     written to the shared folder, so lineage stays short and a lost executor repeats few steps.
     """
-    members = membership(groups)
+    members = groups.sparkSession.sparkContext.broadcast(membership(groups))
     size = columns.select(F.sqrt(F.sum(F.aggregate("vec", F.lit(0.0), lambda a, x: a + x * x)))).first()[0] or 0.0
     if not size:
         return columns
@@ -123,7 +129,7 @@ def conditional_gradient(
     def replay(batch, since):
         import numpy as np
 
-        times, ids, c, g = _kernel_frame(batch, members)
+        times, ids, c, g = _kernel_frame(batch, members.value)
         m = np.array(batch["m"].tolist()).T
         for k, norm2, inner in since:
             m, _ = kernels.blend(m, c - kernels.penalty_slope(m, g, lam), k, norm2, inner)
@@ -156,7 +162,8 @@ def conditional_gradient(
         norm = math.sqrt(a * a + 2 * a * b * r["b"] / length + b * b)
         done = math.sqrt(max(0.0, 2 - 2 * (a + b * r["b"] / length) / norm)) <= eps
         if len(known) >= save_every or done or k == max_iter:
-            state = work_table(state.mapInPandas(lambda x, s=list(known): states(x, s), f"{_LONG}, m array<double>"), "solver_state")
+            before, state = state, work_table(state.mapInPandas(lambda x, s=list(known): states(x, s), f"{_LONG}, m array<double>"), "solver_state")
+            drop_table(before)
             known = []
         if done:
             break

@@ -52,8 +52,8 @@ def detect_single(panel: DataFrame, groups: DataFrame, lam: float | None = None,
     solver: closed (disjoint groups), columnwise (exact for any groups, one pass) or iterative; auto takes the
     closed form for disjoint groups. If every block is shrunk to zero there is no direction, z is null and stat 0.
     """
-    lam, disjoint, _ = level(panel, groups, lam)
-    c = relax.work_table(cu.cusum(panel), "cusum")
+    lam, disjoint, n = level(panel, groups, lam)
+    c = relax.work_table(cu.cusum_of(panel, n), "cusum")
     m = relax.work_table(solved(c, groups, lam, solver, disjoint), "relaxed")
     v = di.leading_left(m, method)
     return Found(lo.locate(v, c), v, lam)
@@ -65,7 +65,7 @@ def detect_single_split(panel: DataFrame, groups: DataFrame, lam: float | None =
     halves = panel.where(F.col("t") <= n // 2 * 2).select(
         (F.col("t") % 2).cast("int").alias("half"), "series_id", F.expr("(t + 1) div 2").alias("t"), "x"
     )
-    c = relax.work_table(cu.cusum(halves, by=("half",)), "cusum")
+    c = relax.work_table(cu.cusum_of(halves, n // 2, by=("half",)), "cusum")
     odd, even = c.where("half = 1").drop("half"), c.where("half = 0").drop("half")
     v = di.leading_left(relax.work_table(solved(odd, groups, lam, solver, disjoint), "relaxed"), method)
     point = lo.locate(v, even).select((F.col("z") * 2).alias("z"), "stat")

@@ -38,9 +38,8 @@ def event_hour(hours: int = 720) -> str:
     )
 
 
-def embedding_stream(columns: int) -> str:
-    return f"""raw AS (SELECT i::BIGINT AS series_id, (vec_id + 1)::BIGINT AS t, embedding[i]::DOUBLE AS x
-        FROM embeddings, range(1, 65) AS r(i) WHERE vec_id < {columns})"""
+EMBEDDING_STREAM = """raw AS (SELECT i::BIGINT AS series_id, (vec_id + 1)::BIGINT AS t, embedding[i]::DOUBLE AS x
+        FROM embeddings, range(1, 65) AS r(i))"""
 
 
 SCALE = """diffs AS (SELECT series_id, t, x - lag(x) OVER (PARTITION BY series_id ORDER BY t) AS d FROM raw),
@@ -49,7 +48,7 @@ SCALE = """diffs AS (SELECT series_id, t, x - lag(x) OVER (PARTITION BY series_i
         std AS (SELECT series_id, t, coalesce(x / nullif(sigma, 0), 0) AS x FROM raw JOIN scales USING (series_id))"""
 
 
-def planted(zs: tuple[int, ...], size: float, factors: tuple[float, ...], chosen: str) -> str:
+def planted(zs: tuple[int | str, ...], size: float, factors: tuple[float, ...], chosen: str) -> str:
     """The standardised panel with steps on the series that the condition chosen selects."""
     step = " + ".join(f"(t > {z})::INT * {f}" for z, f in zip(zs, factors, strict=True))
     return f"""hit AS (SELECT DISTINCT series_id FROM std WHERE {chosen}),

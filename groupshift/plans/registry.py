@@ -26,6 +26,8 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLES: dict[str, str] = {}
 
 Z, SIZE, CHOSEN = 142, 3.0, (0, 1)
+#: The published number of change-free panels behind a threshold, and as many random intervals.
+NULLS, INTERVALS = 1000, 1000
 
 
 def query(name: str, sql: str | None = None):
@@ -61,12 +63,12 @@ def supplier_planted(spark, sf) -> tuple[DataFrame, DataFrame, DataFrame]:
     return relax.work_table(panel, "panel"), groups, truth
 
 
-def window_planted(spark, sf, columns: int | None = None):
-    """(panel, groups, truth) over all vectors; columns cuts them for a query whose SQL is recursive."""
-    panel = panels.embedding_stream(spark, sf, columns)
+def window_planted(spark, sf):
+    """(panel, groups, truth) over all vectors, a change planted in one of seven windows."""
+    panel = panels.embedding_stream(spark, sf)
     n = panel.agg(F.max("t")).first()[0] or 0
     groups = gr.windows(spark, 64, 16, 8, first=1)
-    panel, truth = panels.plant(scale.standardised(panel), groups, [panels.Step(int(0.4 * n), (2,), 4.0)])
+    panel, truth = panels.plant(scale.standardised(panel), groups, [panels.Step(2 * n // 5, (2,), 4.0)])
     return relax.work_table(panel, "panel"), groups, truth
 
 
@@ -74,7 +76,7 @@ PB = f"WITH RECURSIVE {o.supplier_week()},\n{o.SCALE},\n{o.planted((Z,), SIZE, (
 PB_LEVEL = f"{PB},\n{o.BLOCKS},\n{o.LEVEL}"
 PB_SHRUNK = f"{PB_LEVEL},\n{o.shrunk()}"
 PA = f"WITH {o.NATION_WEEK},\n{o.SCALE},\n{o.cusum('std')}"
-PE = f"WITH RECURSIVE {o.embedding_stream(64)},\n{o.SCALE},\n{o.planted((25,), 4.0, (1,), 'series_id BETWEEN 17 AND 32')},\n{o.cusum()}"
+PE = f"WITH {o.EMBEDDING_STREAM},\n{o.SCALE},\n{o.planted(('(SELECT 2 * max(t) // 5 FROM raw)',), 4.0, (1,), 'series_id BETWEEN 17 AND 32')},\n{o.cusum()}"
 WINDOWS = "grp AS (SELECT w::BIGINT AS group_id, (8 * w + i)::BIGINT AS series_id FROM range(7) AS a(w), range(1, 17) AS b(i))"
 
 
@@ -173,7 +175,7 @@ def _(spark, sf):
 
 
 def _cg_sql(steps: int) -> str:
-    out = f"""{PE},\n{WINDOWS},\nlev AS (SELECT (1 + sqrt(4 * ln(7 * 64) / 16)) / 2 AS lam),
+    out = f"""{PE},\n{WINDOWS},\nlev AS (SELECT (1 + sqrt(4 * ln(7 * max(t)) / 16)) / 2 AS lam FROM panel),
         s0 AS MATERIALIZED (SELECT series_id, t, cusum AS c, cusum / sqrt((SELECT sum(cusum * cusum) FROM cus)) AS m FROM cus)"""
     for k in range(1, steps + 1):
         p = f"s{k - 1}"
@@ -187,14 +189,6 @@ def _cg_sql(steps: int) -> str:
 
 
 @query("cg_overlap_5", _cg_sql(5))
-def _(spark, sf):
-    panel, groups, _ = window_planted(spark, sf, 64)  # what the SQL has; cg_overlap_5_whole has all vectors
-    lam = tuning.lambda_practical(64, 7, 16)
-    columns = relax.work_table(relax.columns_of(cu.cusum(panel)), "columns")
-    return rounded(relax.to_long(relax.conditional_gradient(columns, groups, lam, eps=0.0, max_iter=5, save_every=3)), 6, "m")
-
-
-@query("cg_overlap_5_whole")
 def _(spark, sf):
     panel, groups, _ = window_planted(spark, sf)
     lam, _, _ = single.level(panel, groups, None)
@@ -367,14 +361,14 @@ def _(spark, sf):
 @query("multi_event_hour")
 def _(spark, sf):
     panel, groups = events_planted(spark, sf)
-    return rounded(multi.detect_multiple(panel, groups, multi.xi_permuted(panel, groups, reps=40), intervals=120), 4, "stat")
+    return rounded(multi.detect_multiple(panel, groups, multi.xi_permuted(panel, groups, reps=NULLS), intervals=INTERVALS), 4, "stat")
 
 
 @query("multi_sparse_projection")
 def _(spark, sf):
     panel, groups = events_planted(spark, sf)
-    xi = multi.xi_permuted(panel, groups, reps=40, stat="sparse_projection")
-    return rounded(multi.detect_multiple(panel, groups, xi, intervals=120, stat="sparse_projection"), 4, "stat")
+    xi = multi.xi_permuted(panel, groups, reps=NULLS, stat="sparse_projection")
+    return rounded(multi.detect_multiple(panel, groups, xi, intervals=INTERVALS, stat="sparse_projection"), 4, "stat")
 
 
 @query("multi_distributed")
@@ -429,13 +423,19 @@ def _(spark, sf):
     return rounded(spark.createDataFrame(rows, "t long, signal double"), 6, "signal")
 
 
-@query("theory_bounds")
+@query("theory_bounds", f"""WITH c AS (SELECT unnest([1.0, 2.0, 4.0, 8.0, 16.0])::DOUBLE AS size, 1000.0::DOUBLE AS n, 0.4::DOUBLE AS tau, 60.0::DOUBLE AS k, 12.0::DOUBLE AS s, 120.0::DOUBLE AS g),
+    e AS (SELECT sum(power(CASE WHEN t <= 400 THEN sqrt(t / (1000.0 * (1000 - t))) * 600 ELSE sqrt((1000 - t) / (1000.0 * t)) * 400 END, 2)) AS e FROM range(1, 1000) AS a(t))
+    SELECT size, {r('32 * (1 + sqrt(4 * ln(g * n) / 5)) * sqrt(k) / (sqrt(n) * tau * size)', 9)} AS upper,
+           {r('sqrt((k + s * ln(g * n)) / (n * tau * tau * size * size))', 9)} AS simplified,
+           {r('least(1 / 72.0, sqrt((k + s * ln(g / s)) / (n * tau * size * size)) / (72 * sqrt(3)))', 9)} AS lower,
+           least(k, (s - 1) * ln(g / s)) >= 20 AS lower_holds, {r('(1 + sqrt(4 * ln(n))) / (n * size * size)', 9)} AS location, {r('size * sqrt(e)', 6)} AS operator_norm FROM c, e""")
 def _(spark, sf):
     rows = []
     for size in experiments.DYADIC:
         lower, holds = theory.lower_bound(60, 12, 120, 1000, 0.4, size)
         rows.append((size, theory.direction_rate(tuning.lambda_theory(1000, 120, 5), 60, 1000, 0.4, size), theory.simplified_rate(60, 12, 120, 1000, 0.4, size), lower, holds, theory.location_rate(1000, size)[0], theory.operator_norm(1000, 400, size)))
-    return spark.createDataFrame(rows, "size double, upper double, simplified double, lower double, lower_holds boolean, location double, operator_norm double")
+    found = spark.createDataFrame(rows, "size double, upper double, simplified double, lower double, lower_holds boolean, location double, operator_norm double")
+    return rounded(rounded(found, 9, "upper", "simplified", "lower", "location"), 6, "operator_norm")
 
 
 @query("null_exceedance")
@@ -693,16 +693,9 @@ def _(spark, sf):
     return rounded(scale.differences(panels.nation_week(spark, sf)), 4, "d")
 
 
-@query("rank_blocks", f"""{PB_SHRUNK}, k AS (SELECT group_id, t, round(norm, 6) AS norm FROM norms WHERE t BETWEEN 140 AND 150)
+@query("rank_blocks", f"""{PB_SHRUNK}, k AS (SELECT group_id, t, round(norm, 6) AS norm FROM norms)
     SELECT group_id, t, norm, (row_number() OVER w)::INT AS rn, (rank() OVER v)::INT AS rk, (dense_rank() OVER v)::INT AS dr, (ntile(4) OVER w)::INT AS quarter
     FROM k WINDOW w AS (PARTITION BY t ORDER BY norm DESC, group_id), v AS (PARTITION BY t ORDER BY norm DESC)""")
-def _(spark, sf):
-    panel, groups, _ = supplier_planted(spark, sf)
-    some = norms.block_norms(cu.cusum(panel), groups).where("t between 140 and 150")  # what the SQL has
-    return relops.rank_blocks(rounded(some, 6, "norm"))
-
-
-@query("rank_blocks_whole")
 def _(spark, sf):
     panel, groups, _ = supplier_planted(spark, sf)
     return relops.rank_blocks(rounded(norms.block_norms(cu.cusum(panel), groups), 6, "norm"))
@@ -746,12 +739,7 @@ def _(spark, sf):
     return table(spark, sf, "documents").select("doc_id", *[F.round(c, 6).alias(k) for k, c in features.items()])
 
 
-@query("embedding_panel", f"WITH {o.embedding_stream(100)} SELECT series_id, t, x FROM raw")
-def _(spark, sf):
-    return panels.embedding_stream(spark, sf, 100)  # what the SQL has; embedding_panel_whole has all vectors
-
-
-@query("embedding_panel_whole")
+@query("embedding_panel", f"WITH {o.EMBEDDING_STREAM} SELECT series_id, t, x FROM raw")
 def _(spark, sf):
     return panels.embedding_stream(spark, sf)
 
@@ -845,17 +833,42 @@ def _(spark, sf):
     return found.where("method like '%_ari'").groupBy("config_id", "method").agg(F.round(F.avg("loss"), 4).alias("ari"))
 
 
+def brand_groups(panel: DataFrame) -> DataFrame:
+    """The brands' numbers modulo five."""
+    return panel.select((F.col("series_id") % 5).alias("group_id"), "series_id").distinct()
+
+
 @query("e5_real_series")
 def _(spark, sf):
-    groups = gr.from_table(table(spark, sf, "nation"), "n_nationkey", "n_regionkey")
-    return rounded(experiments.real_series(panels.nation_week(spark, sf), groups, intervals=60, nulls=40), 4, "stat")
+    """Log returns of the brands, as they are and with a change planted in two groups halfway; z_true is null where none was planted."""
+    panel = relax.work_table(scale.standardised(panels.brand_return(spark, sf)), "returns")
+    groups = relax.work_table(brand_groups(panel), "brands")
+    z = (panel.agg(F.max("t")).first()[0] or 0) // 2
+    planted, _ = panels.plant(panel, groups, [panels.Step(z, CHOSEN, 6.0)])
+    out = None
+    for name, data, truth in (("observed", panel, None), ("planted", relax.work_table(planted, "planted"), z)):
+        found = experiments.real_series(data, groups, INTERVALS, NULLS)
+        part = found.select(F.lit(name).alias("panel"), F.lit(truth).cast("long").alias("z_true"), "cp_id", "z", "stat", "depth")
+        out = part if out is None else out.unionByName(part)
+    return rounded(out, 4, "stat")
+
+
+@query("e5_group_profile", f"""WITH c AS (SELECT regexp_extract(p_brand, '(\\d+)', 1)::BIGINT AS series_id, ((year(l_shipdate) - 1995) * 12 + month(l_shipdate))::BIGINT AS t,
+        sum((l_extendedprice / l_quantity)::DECIMAL(18,4))::DOUBLE / count(*) AS x FROM lineitem JOIN part ON l_partkey = p_partkey GROUP BY ALL),
+    k AS (SELECT * FROM c WHERE t BETWEEN 1 AND 82 QUALIFY count(*) OVER (PARTITION BY series_id) = 82),
+    b AS (SELECT series_id, t, x / lag(x) OVER (PARTITION BY series_id ORDER BY t) AS q FROM k),
+    raw AS (SELECT series_id, t - 1 AS t, ln(q) AS x FROM b WHERE q IS NOT NULL),\n{o.SCALE}
+    SELECT series_id % 5 AS group_id, t, {r('sqrt(sum(x * x))', 4)} AS norm FROM std GROUP BY ALL""")
+def _(spark, sf):
+    panel = scale.standardised(panels.brand_return(spark, sf))
+    return rounded(metrics.group_profile(panel, brand_groups(panel)), 4, "norm")
 
 
 @query("e6_null_panels")
 def _(spark, sf):
     panel = scale.standardised(panels.supplier_week(spark, sf))
     groups = experiments.supplier_groups(spark, sf)
-    xi = multi.xi_permuted(panel, groups, reps=40)
+    xi = multi.xi_permuted(panel, groups, reps=NULLS)
     stat = single.detect_single(panel, groups).point
     return stat.select("z", F.round("stat", 4).alias("stat"), F.lit(round(xi, 4)).alias("xi"))
 

@@ -80,10 +80,9 @@ def event_hour(spark: SparkSession, sf: str, hours: int = 720, what: str = "coun
     return densify(cells, every, hours)
 
 
-def embedding_stream(spark: SparkSession, sf: str, columns: int | None = None) -> DataFrame:
+def embedding_stream(spark: SparkSession, sf: str) -> DataFrame:
     """Series are the vectors' components, times the vectors in order of id."""
     rows = table(spark, sf, "embeddings").select((F.col("vec_id") + 1).alias("t"), "embedding")
-    rows = rows if columns is None else rows.where(F.col("t") <= columns)
     return rows.select("t", F.posexplode("embedding").alias("i", "v")).select((F.col("i") + 1).cast("long").alias("series_id"), "t", F.col("v").cast("double").alias("x"))
 
 

@@ -12,12 +12,14 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, or a temporary one where it is unset (tests)."""
+    """The folder that driver and executors share: spark.checkpoint.dir, or a temporary one where it is unset and all run on one machine."""
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
         found = spark.sparkContext._jsc.sc().getCheckpointDir()
         if found.isDefined():
             return found.get()
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir is unset: name a folder that the driver and all executors share")
         spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="groupshift-"))
         base = spark.sparkContext._jsc.sc().getCheckpointDir().get()
     elif not spark.sparkContext._jsc.sc().getCheckpointDir().isDefined():
@@ -67,4 +69,13 @@ def work_table(df: DataFrame, name: str, rows: int | None = None, each: int = 25
     with small_batches(spark):
         df.coalesce(files).write.parquet(path)
     atexit.register(_forget, spark, path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out.work_path = path
+    return out
+
+
+def drop_table(table: DataFrame) -> None:
+    """Deletes a work table that nothing reads any more; any other DataFrame is left alone."""
+    path = getattr(table, "__dict__", {}).get("work_path")
+    if path:
+        _forget(table.sparkSession, path)

@@ -132,3 +132,31 @@ def test_theory_of_the_signal(spark):
     assert np.linalg.norm(kernels.cusum(x), 2) == pytest.approx(theory.operator_norm(n, z, 5))
     assert theory.operator_norm(n, z, 5) >= n * min(z, n - z) / n * 5 / 4
     assert tuple(baselines.l2(cusum.cusum(panel_of(spark, x))).first()) == (z, pytest.approx(theory.signal_peak(n, z, 5)))
+
+
+def test_null_blocks_have_the_moments_of_chi_square():
+    """A group's part of a change-free CUSUM column: its squared length has mean p_g and variance 2 p_g at every time."""
+    rng = np.random.default_rng(12)
+    for size in (1, 4, 12):
+        squares = np.array([(kernels.cusum(rng.normal(size=(size, 30))) ** 2).sum(0) for _ in range(4000)])
+        assert squares.mean(0) == pytest.approx(np.full(29, size), rel=0.12)
+        assert squares.var(0) == pytest.approx(np.full(29, 2 * size), rel=0.25)
+        assert squares.mean() == pytest.approx(size, rel=0.03) and squares.var() == pytest.approx(2 * size, rel=0.08)
+
+
+def test_rank_one_form_has_the_optimum_of_the_direction():
+    """Over rank-one matrices of unit nuclear norm with rows in s groups, the inner product with T is at most, and reaches, the length of v'T."""
+    rng = np.random.default_rng(13)
+    t, groups = rng.normal(size=(6, 9)), [np.array([0, 1]), np.array([2, 3]), np.array([4, 5])]
+    for s in (1, 2, 3):
+        v = kernels.best_group_subset(t, groups, s)
+        best = np.linalg.norm(v @ t)
+        m = np.outer(v, v @ t) / best
+        assert np.linalg.norm(m, "nuc") == pytest.approx(1) and (m * t).sum() == pytest.approx(best)
+        assert abs(kernels.leading_left(m) @ v) == pytest.approx(1)
+        for _ in range(200):
+            u, w = np.zeros(6), rng.normal(size=9)
+            rows = np.concatenate([groups[g] for g in rng.choice(3, s, replace=False)])
+            u[rows] = rng.normal(size=len(rows))
+            other = np.outer(u, w)
+            assert (other / np.linalg.norm(other, "nuc") * t).sum() <= best + 1e-9
