@@ -75,13 +75,18 @@ def shielded(docs: DataFrame) -> tuple[DataFrame, dict[str, str]]:
 LEAST_SPLIT = 256
 
 
-def salted_join(left: DataFrame, right: DataFrame, on: list[str], weight: str, total: int, hot_rows: int = 100_000, how: str = "inner") -> DataFrame:
+def salted_join(
+    left: DataFrame, right: DataFrame, on: list[str], weight: str, total: int, hot_rows: int = 100_000, how: str = "inner", broadcast_rows: int = 0
+) -> DataFrame:
     """left joined with right, whose keys occur once and come with the number (weight) of left rows that they have of total in all.
 
     A key of more than total / hot_rows rows is split: its left rows are dealt by hash over several salts, and its row of
     right is repeated for each. There are fewer than hot_rows such keys, so that their list may be broadcast, and fewer than twice as
     many repeated rows. how is inner, left or left_semi. Keys that are null join nothing. The names _salt, _salts and _k0, .. must be free.
+    right, which has no more rows than left, is broadcast whole where left has broadcast_rows at most: for rows of a few bytes.
     """
+    if total <= broadcast_rows:
+        return left.join(F.broadcast(right), on, how)
     most = max(LEAST_SPLIT, -(-total // hot_rows))
     keys = [f"_k{i}" for i in range(len(on))]
     hot = right.where(F.col(weight) > most).select(*[F.col(c).alias(k) for c, k in zip(on, keys, strict=True)], F.ceil(F.col(weight) / most).cast("int").alias("_salts"))

@@ -37,6 +37,8 @@ BLOCK_HASHES = 4_000_000
 REFINE = 200_000
 #: Symbols of a finer chunk; SYMBOLS // FINE of them can be told apart.
 FINE = 2
+#: Up to so many rows a join's other side, of a few numbers a row, goes to every executor.
+NARROW_ROWS = 500_000
 #: Bytes of full sets that a task confirming pairs reads, about.
 CONFIRM_BYTES = 32_000_000
 
@@ -223,9 +225,9 @@ def components(links: DataFrame) -> DataFrame:
     while True:
         both = edges.unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
         least = both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"), F.count(F.lit(1)).alias("degree"))
-        large = salted_join(both, least, ["u"], "degree", 2 * n).where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u > v").distinct()
+        large = salted_join(both, least, ["u"], "degree", 2 * n, broadcast_rows=NARROW_ROWS).where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u > v").distinct()
         least = large.groupBy("u").agg(F.min("v").alias("m"), F.count(F.lit(1)).alias("degree"))
-        small = salted_join(large, least, ["u"], "degree", n).select("u", "v", "m")
+        small = salted_join(large, least, ["u"], "degree", 2 * n, broadcast_rows=NARROW_ROWS).select("u", "v", "m")
         small = small.select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(small.select("u", F.col("m").alias("v")))
         edges = work_table(small.where("u > v").distinct(), "edges", n)
         now = tuple(edges.agg(F.count(F.lit(1)), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first())
@@ -254,7 +256,7 @@ def _stars(keys: DataFrame, turn: int, total: int) -> DataFrame:
     """Pairs (a, b) of a key's members with one of them, another for each key and turn, where components differ."""
     order = F.xxhash64("node", "key", F.lit(turn))
     heads = keys.groupBy("key").agg(F.min(F.struct(order.alias("o"), "node", "label")).alias("head"), F.count(F.lit(1)).alias("members"))
-    apart = salted_join(keys, heads, ["key"], "members", total).where(F.col("label") != F.col("head.label"))
+    apart = salted_join(keys, heads, ["key"], "members", total, broadcast_rows=NARROW_ROWS).where(F.col("label") != F.col("head.label"))
     return apart.select(F.least("node", "head.node").alias("a"), F.greatest("node", "head.node").alias("b")).distinct()
 
 
@@ -279,7 +281,7 @@ def _lookalikes(keys: DataFrame, sets: DataFrame, share: tuple[int, int], total:
     than REFINE members goes by finer keys first, so that work grows with its size, not with the square of it.
     """
     mixed = _mixed(keys)
-    rows = salted_join(keys, mixed.withColumnRenamed("k", "key"), ["key"], "members", total)
+    rows = salted_join(keys, mixed.withColumnRenamed("k", "key"), ["key"], "members", total, broadcast_rows=NARROW_ROWS)
     rows = rows.join(sets.select(F.col("node").alias("snode"), "n", "sig"), F.col("node") == F.col("snode")).select("key", "node", "label", "n", "sig", "hub", "members")
     if SYMBOLS - least_agree + 1 <= SYMBOLS // FINE:
         large = F.col("members") > REFINE
@@ -409,7 +411,7 @@ def near_duplicates(
     n_keys = sets.count() * CHUNKS * CHUNK
     keys = _keys(sets)
     heads = keys.groupBy("key").agg(F.min("node").alias("a"), F.count(F.lit(1)).alias("members")).where("members > 1")
-    stars = salted_join(keys, heads, ["key"], "members", n_keys).where("node > a").select("a", F.col("node").alias("b")).distinct()
+    stars = salted_join(keys, heads, ["key"], "members", n_keys, broadcast_rows=NARROW_ROWS).where("node > a").select("a", F.col("node").alias("b")).distinct()
     tried = work_table(_plausible(stars, sets, share, least_agree), "stars")
     build = lambda nodes, most: _full_sets(nodes, most, sets, docs, words, broadcast_rows)
 
@@ -425,7 +427,7 @@ def near_duplicates(
     keys = _labelled(keys, labels)
     total = n_keys
     for turn in range(ROUNDS + 1):
-        keys = work_table(salted_join(keys, _mixed(keys).select(F.col("k").alias("key"), "members"), ["key"], "members", total, how="left_semi"), "apart")
+        keys = work_table(salted_join(keys, _mixed(keys).select(F.col("k").alias("key"), "members"), ["key"], "members", total, how="left_semi", broadcast_rows=NARROW_ROWS), "apart")
         total = keys.count()
         if not total:
             break
@@ -441,8 +443,8 @@ def near_duplicates(
     named = sets.join(labels.withColumnRenamed("node", "lnode"), F.col("node") == F.col("lnode"), "left")
     named = work_table(named.select("set_id", "first_doc", "copies", F.coalesce("label", "node").alias("label")), "labelled")
     least = named.groupBy("label").agg(F.min("first_doc").alias("component"), F.count(F.lit(1)).alias("members"))
-    named = salted_join(named, least, ["label"], "members", n_keys).select("set_id", "component", "copies")
-    found = salted_join(rows.select("doc_id", "n", "set_id"), named, ["set_id"], "copies", rows.count(), how="left")
+    named = salted_join(named, least, ["label"], "members", n_keys // (CHUNKS * CHUNK), broadcast_rows=NARROW_ROWS).select("set_id", "component", "copies")
+    found = salted_join(rows.select("doc_id", "n", "set_id"), named, ["set_id"], "copies", rows.count(), how="left", broadcast_rows=NARROW_ROWS)
     component = F.when(F.col("set_id").isNull(), F.col("doc_id")).otherwise(F.col("component"))
     return found.select("doc_id", F.col("n").alias("n_shingles"), component.alias("component_id"), component.eqNullSafe(F.col("doc_id")).alias("kept"))
 
