@@ -8,9 +8,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from groupshift import kernels
+from groupshift.sources.work import work_table
 
-#: Up to so many active series the Gram matrix goes to the driver: 128 MB of doubles.
+#: Up to so many active series the Gram matrix of the series goes to the driver: 128 MB of doubles.
 GRAM_SERIES = 4096
+#: With more series than that, up to so many times the Gram matrix of the times does: 32 MB.
+GRAM_TIMES = 2048
+#: Least cells of the slices of series whose Gram matrices are added up; a slice is never smaller than the matrix.
+SLICE_CELLS = 500_000
 
 
 def _oriented(ids, v, spark) -> DataFrame:
@@ -22,23 +27,85 @@ def active_series(columns: DataFrame) -> list[int]:
     return sorted(r[0] for r in columns.select(F.explode("ids")).distinct().toLocalIterator())
 
 
+def stored(columns: DataFrame) -> DataFrame:
+    """The columns as a work table, if they are none: they are read more than once."""
+    return columns if "work_path" in columns.__dict__ else work_table(columns, "columns")
+
+
+def side(columns: DataFrame) -> str:
+    """The side whose Gram matrix is small enough for the driver: series, else times, else neither and the answer is sketch."""
+    if columns.select(F.explode("ids")).distinct().count() <= GRAM_SERIES:
+        return "series"
+    return "times" if columns.count() <= GRAM_TIMES else "sketch"
+
+
+def cells_of(columns: DataFrame) -> DataFrame:
+    return columns.select("t", F.inline(F.arrays_zip("ids", "vec"))).select(F.col("ids").alias("series_id"), "t", F.col("vec").alias("m"))
+
+
+def gram_of_times(columns: DataFrame):
+    """(times, M'M) of columns (t, ids, vec), t unique: series are dealt to slices and the slices' matrices are added up."""
+    import numpy as np
+
+    times = sorted(r[0] for r in columns.select("t").collect())
+    shared = columns.sparkSession.sparkContext.broadcast(times)
+    n = len(times)
+    cells = columns.agg(F.sum(F.size("ids"))).first()[0] or 0
+    slices = -(-cells // max(SLICE_CELLS, n * n)) or 1
+    height = max(1, CHUNK_BYTES // (8 * n))
+
+    def cut(pdf):
+        import pandas as pd
+
+        own, row = np.unique(pdf["series_id"].to_numpy(), return_inverse=True)
+        m = np.zeros((len(own), n))
+        m[row, np.searchsorted(np.array(shared.value), pdf["t"].to_numpy())] = pdf["m"].to_numpy()
+        total = m.T @ m
+        parts = [total[at : at + height].tobytes() for at in range(0, n, height)]
+        return pd.DataFrame({"i": range(len(parts)), "x": parts})
+
+    dealt = cells_of(columns).withColumn("slice", F.pmod(F.xxhash64("series_id"), F.lit(slices)))
+    return times, _added(dealt.groupBy("slice").applyInPandas(cut, "i int, x binary"), n)
+
+
+def _by_times(columns: DataFrame) -> DataFrame:
+    """M u over the leading singular value, u the leading vector of M'M; the direction itself never is on the driver."""
+    import numpy as np
+
+    spark = columns.sparkSession
+    times, gram = gram_of_times(columns)
+    values, vectors = np.linalg.eigh(gram)
+    size = math.sqrt(max(values[-1], 0.0))
+    right = spark.createDataFrame([(int(t), float(x / size) if size else 0.0) for t, x in zip(times, vectors[:, -1], strict=True)], "t long, u double")
+    v = cells_of(columns).join(F.broadcast(right), "t").groupBy("series_id").agg(F.sum(F.col("m") * F.col("u")).alias("v"))
+    v = work_table(v, "direction")
+    top = v.agg(F.max(F.abs("v"))).first()[0]
+    first = v.where(F.abs("v") > top * (1 - 1e-12)).agg(F.min_by("v", "series_id")).first()[0] or 0.0
+    return v.select("series_id", (-F.col("v") if first < 0 else F.col("v")).alias("v"))
+
+
 def leading_left(columns: DataFrame, method: str = "auto", steps: int = 100, tol: float = 1e-10, sketch: int = 16) -> DataFrame:
-    """method: gram (one pass, exact), power (a pass a step), sketch (16 columns at once, a pass a step until the residual
-    is below tol, 1e-9 at least, of the leading value; an error after so many steps), auto by the number of series: both ways lead to the same.
+    """method: gram (exact, by the Gram matrix of the series or, if these are many, of the times), power (a pass a step),
+    sketch (16 columns at once, a pass a step until the residual is below tol, 1e-9 at least, of the leading value; an
+    error after so many steps). auto and gram go by the numbers of series and times, and take the sketch if both are
+    many: all ways lead to the same.
 
     The largest entry in size is positive; of equal ones that of the smallest series. No columns give no rows.
     """
     import numpy as np
 
     spark = columns.sparkSession
+    columns = stored(columns)
+    if method in ("auto", "gram"):
+        method = side(columns)
+        if method == "times":
+            return _by_times(columns)
     columns = columns.select("ids", "vec")
     ids = active_series(columns)
     if not ids:
         return spark.createDataFrame([], "series_id long, v double")
-    if method == "auto":
-        method = "gram" if len(ids) <= GRAM_SERIES else "sketch"
     shared = spark.sparkContext.broadcast(ids)
-    if method == "gram":
+    if method == "series":
         return _oriented(ids, kernels.leading_of_gram(_gram(columns, shared)), spark)
     draw = np.random.default_rng(11)
     if method == "sketch":
@@ -85,8 +152,6 @@ CHUNK_BYTES = 1 << 20
 
 def _summed(columns: DataFrame, make, shape: tuple[int, int]):
     """The sum over partitions of the matrices make(batches) gives, one for each partition; chunks of rows are added apart."""
-    import numpy as np
-
     height = max(1, CHUNK_BYTES // (8 * shape[1]))
 
     def cut(batches):
@@ -97,14 +162,20 @@ def _summed(columns: DataFrame, make, shape: tuple[int, int]):
             parts = [total[at : at + height].tobytes() for at in range(0, shape[0], height)]
             yield pd.DataFrame({"i": range(len(parts)), "x": parts})
 
+    return _added(columns.mapInPandas(cut, "i int, x binary"), shape[1])
+
+
+def _added(rows: DataFrame, width: int):
+    """The sum of matrices that came as chunks of rows (i, x), chunk by chunk."""
+    import numpy as np
+
     def add(pdf):
         import pandas as pd
 
         total = sum(np.frombuffer(x) for x in pdf["x"])
         return pd.DataFrame({"i": [pdf["i"].iloc[0]], "x": [total.tobytes()]})
 
-    rows = columns.mapInPandas(cut, "i int, x binary")
-    found = {r["i"]: np.frombuffer(r["x"]).reshape(-1, shape[1]) for r in rows.groupBy("i").applyInPandas(add, "i int, x binary").collect()}
+    found = {r["i"]: np.frombuffer(r["x"]).reshape(-1, width) for r in rows.groupBy("i").applyInPandas(add, "i int, x binary").collect()}
     return np.vstack([found[i] for i in range(len(found))])
 
 
