@@ -57,12 +57,22 @@ def restrict(m: DataFrame, series: DataFrame | None = None, first: int | None =
 
 
 def spectral(columns: DataFrame) -> DataFrame:
-    """One row (operator, nuclear) of a matrix in column blocks, from the Gram matrix of its active series (4096 at most)."""
+    """One row (operator, nuclear) of a matrix in column blocks, from the Gram matrix of its active series or, if these are many, of its times.
+
+    All singular values are wanted, so one side has to be small; if neither is, an error is raised.
+    """
     import numpy as np
 
-    ids = direction.active_series(columns)
-    if len(ids) > direction.GRAM_SERIES:
-        raise ValueError(f"{len(ids)} active series are more than {direction.GRAM_SERIES}")
-    gram = direction._gram(columns.select("ids", "vec"), columns.sparkSession.sparkContext.broadcast(ids)) if ids else np.zeros((1, 1))
-    values = np.sqrt(np.maximum(np.linalg.eigvalsh(gram), 0))
+    columns = direction.stored(columns)
+    by = direction.side(columns)
+    if by == "sketch":
+        raise ValueError(f"more than {direction.GRAM_SERIES} active series and more than {direction.GRAM_TIMES} times: all singular values would need a matrix of either side")
+    if by == "times":
+        gram = direction.gram_of_times(columns)[1]
+    else:
+        ids = direction.active_series(columns)
+        gram = direction._gram(columns.select("ids", "vec"), columns.sparkSession.sparkContext.broadcast(ids)) if ids else np.zeros((1, 1))
+    # There are no more singular values than the smaller side is long: what a matrix of the other side has beyond them is rounding.
+    least = min(columns.count(), columns.select(F.explode("ids")).distinct().count())
+    values = np.sqrt(np.maximum(np.linalg.eigvalsh(gram)[::-1][: max(1, least)], 0))
     return columns.sparkSession.createDataFrame([(float(values.max()), float(values.sum()))], "operator double, nuclear double")
