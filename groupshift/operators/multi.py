@@ -11,6 +11,7 @@ from groupshift import kernels
 
 from . import relax
 from . import cusum as cu
+from . import wide
 from .intervals import draw_intervals
 from .single import level
 
@@ -222,23 +223,36 @@ def xi_monte_carlo(spark: SparkSession, p: int, n: int, groups: list, lam: float
     return found.agg(F.max("stat") if quantile is None else F.percentile("stat", F.lit(quantile))).first()[0]
 
 
+def _order(seed: int, r: int, n: int):
+    import numpy as np
+
+    return np.random.default_rng(seed * 1_000_003 + r).permutation(n)
+
+
 def xi_permuted(panel: DataFrame, groups: DataFrame, lam: float | None = None, reps: int = 100, stat: str = "gsp", quantile: float | None = None, seed: int = 1) -> float:
-    """The same over joint permutations of a panel's times, which keep what series share at a time and undo any change."""
-    lam, _, _ = level(panel, groups, lam)
-    x, ids = as_matrix(panel)
+    """The same over joint permutations of a panel's times, which keep what series share at a time and undo any change.
+
+    A panel beyond REPLICATED_CELLS is dealt to slices of series, for the detectors of wide.METHODS; gsp needs disjoint groups there.
+    """
+    lam, disjoint, n = level(panel, groups, lam)
     spark = panel.sparkSession
+    largest = F.max("stat") if quantile is None else F.percentile("stat", F.lit(quantile))
+    if panel.count() > REPLICATED_CELLS:
+        if stat == "gsp" and not disjoint:
+            raise ValueError("a panel dealt to slices has no gsp for overlapping groups")
+        orders = [(_order(seed, r, n), None, (), 0.0) for r in range(reps)]
+        return wide.detect_orders(panel, groups, orders, lam, (stat,)).agg(largest).first()[0]
+    x, ids = as_matrix(panel)
     shared = spark.sparkContext.broadcast((x, as_rows(groups, ids)))
 
     def run(batches):
-        import numpy as np
-
         x, rows = shared.value
         for pdf in batches:
-            values = [kernels.method(x[:, np.random.default_rng(seed * 1_000_003 + int(r)).permutation(x.shape[1])], stat, rows, lam)[1] for r in pdf["id"]]
+            values = [kernels.method(x[:, _order(seed, int(r), x.shape[1])], stat, rows, lam)[1] for r in pdf["id"]]
             yield pdf.assign(stat=values)[["stat"]]
 
     found = spark.range(reps).repartition(min(reps, 4 * spark.sparkContext.defaultParallelism)).mapInPandas(run, "stat double")
-    return found.agg(F.max("stat") if quantile is None else F.percentile("stat", F.lit(quantile))).first()[0]
+    return found.agg(largest).first()[0]
 
 
 __all__ = ["as_matrix", "as_rows", "detect_multiple", "interval_candidates", "recurse", "xi_monte_carlo", "xi_permuted"]
