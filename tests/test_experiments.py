@@ -5,6 +5,7 @@ import time
 import duckdb
 import numpy as np
 import pytest
+from pyspark.errors import AnalysisException
 from pyspark.sql import functions as F
 
 from groupshift import kernels
@@ -264,3 +265,10 @@ def test_superseded_tables_go(spark, tmp_path):
     work.drop_table(made)
     assert not os.path.exists(path)
     work.drop_table(spark.range(3))
+
+
+@pytest.mark.parametrize("name", ["ari"])
+def test_reads_a_given_table(spark, tmp_path, name):
+    """Without the tables there is no result."""
+    with pytest.raises(AnalysisException):
+        registry.QUERIES[name](spark, str(tmp_path)).collect()
