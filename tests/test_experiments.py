@@ -267,7 +267,7 @@ def test_superseded_tables_go(spark, tmp_path):
     work.drop_table(spark.range(3))
 
 
-@pytest.mark.parametrize("name", ["ari", "best_lambda", "e1_theory_validation", "e2_lambda_sweep", "e3_direction_compare", "e3_location_compare", "e4_multi_compare", "intervals", "lambda_grid", "location_error"])
+@pytest.mark.parametrize("name", ["ari", "best_lambda", "e1_theory_validation", "e2_lambda_sweep", "e3_direction_compare", "e3_location_compare", "e4_multi_compare", "intervals", "lambda_grid", "location_error", "location_histogram"])
 def test_reads_a_given_table(spark, tmp_path, name):
     """Without the tables there is no result."""
     with pytest.raises(AnalysisException):
