@@ -8,7 +8,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from groupshift import kernels
-from groupshift.sources.work import work_table
+from groupshift.sources.work import small_batches, work_table
+
+from .relax import columns_of
 
 #: Up to so many active series the Gram matrix of the series goes to the driver: 128 MB of doubles.
 GRAM_SERIES = 4096
@@ -43,47 +45,64 @@ def cells_of(columns: DataFrame) -> DataFrame:
     return columns.select("t", F.inline(F.arrays_zip("ids", "vec"))).select(F.col("ids").alias("series_id"), "t", F.col("vec").alias("m"))
 
 
-def gram_of_times(columns: DataFrame):
-    """(times, M'M) of columns (t, ids, vec), t unique: series are dealt to slices and the slices' matrices are added up."""
-    import numpy as np
+def rows_of(cells: DataFrame) -> DataFrame:
+    """(series_id, ids, vec) of cells (series_id, t, m): each series' times and values, the column blocks of the transposed matrix, as a work table."""
+    pairs = F.sort_array(F.collect_list(F.struct("t", "m")))
+    rows = cells.groupBy("series_id").agg(pairs.alias("pairs"))
+    return work_table(rows.select("series_id", F.col("pairs.t").alias("ids"), F.col("pairs.m").alias("vec")), "rows")
 
-    times = sorted(r[0] for r in columns.select("t").collect())
-    shared = columns.sparkSession.sparkContext.broadcast(times)
-    n = len(times)
-    cells = columns.agg(F.sum(F.size("ids"))).first()[0] or 0
-    slices = -(-cells // max(SLICE_CELLS, n * n)) or 1
-    height = max(1, CHUNK_BYTES // (8 * n))
 
-    def cut(pdf):
-        import pandas as pd
+def gram_of_rows(rows: DataFrame):
+    """(times, M'M) of the rows (series_id, ids, vec): the matrices of slices of series are added up."""
+    import numpy as np
 
-        own, row = np.unique(pdf["series_id"].to_numpy(), return_inverse=True)
-        m = np.zeros((len(own), n))
-        m[row, np.searchsorted(np.array(shared.value), pdf["t"].to_numpy())] = pdf["m"].to_numpy()
-        total = m.T @ m
-        parts = [total[at : at + height].tobytes() for at in range(0, n, height)]
-        return pd.DataFrame({"i": range(len(parts)), "x": parts})
+    times = active_series(rows)
+    if not times:
+        return [], np.zeros((0, 0))
+    slices = -(-rows.agg(F.sum(F.size("ids"))).first()[0] // max(SLICE_CELLS, len(times) ** 2))
+    return times, _squared(rows.select("ids", "vec").coalesce(slices), rows.sparkSession.sparkContext.broadcast(times))
 
-    dealt = cells_of(columns).withColumn("slice", F.pmod(F.xxhash64("series_id"), F.lit(slices)))
-    return times, _added(dealt.groupBy("slice").applyInPandas(cut, "i int, x binary"), n)
+
+def gram_of_times(columns: DataFrame):
+    """(times, M'M) of columns (t, ids, vec), t unique."""
+    return gram_of_rows(rows_of(cells_of(columns)))
 
 
-def _by_times(columns: DataFrame) -> DataFrame:
+def _by_rows(rows: DataFrame) -> DataFrame:
     """M u over the leading singular value, u the leading vector of M'M; the direction itself never is on the driver."""
     import numpy as np
 
-    spark = columns.sparkSession
-    times, gram = gram_of_times(columns)
+    spark = rows.sparkSession
+    times, gram = gram_of_rows(rows)
+    if not times:
+        return spark.createDataFrame([], "series_id long, v double")
     values, vectors = np.linalg.eigh(gram)
     size = math.sqrt(max(values[-1], 0.0))
-    right = spark.createDataFrame([(int(t), float(x / size) if size else 0.0) for t, x in zip(times, vectors[:, -1], strict=True)], "t long, u double")
-    v = cells_of(columns).join(F.broadcast(right), "t").groupBy("series_id").agg(F.sum(F.col("m") * F.col("u")).alias("v"))
-    v = work_table(v, "direction")
+    right = spark.sparkContext.broadcast((times, vectors[:, -1] / size if size else np.zeros(len(times))))
+
+    def project(batches):
+        import numpy as np
+        import pandas as pd
+
+        ids, u = np.array(right.value[0]), right.value[1]
+        for batch in batches:
+            if len(batch):
+                yield pd.DataFrame({"series_id": batch["series_id"], "v": u @ _local(batch, ids)})
+
+    v = work_table(rows.mapInPandas(project, "series_id long, v double"), "direction")
     top = v.agg(F.max(F.abs("v"))).first()[0]
     first = v.where(F.abs("v") > top * (1 - 1e-12)).agg(F.min_by("v", "series_id")).first()[0] or 0.0
     return v.select("series_id", (-F.col("v") if first < 0 else F.col("v")).alias("v"))
 
 
+def leading_of_cells(cells: DataFrame, n: int, method: str = "auto") -> DataFrame:
+    """leading_left of cells (series_id, t, m) of n times at most. Up to GRAM_TIMES of these the rows of the series give the Gram matrix of the
+    times, and no column of all series is made; with more times whole columns are gathered and go the way of leading_left."""
+    if n <= GRAM_TIMES and method in ("auto", "gram"):
+        return _by_rows(rows_of(cells))
+    return leading_left(columns_of(cells, "m"), method)
+
+
 def leading_left(columns: DataFrame, method: str = "auto", steps: int = 100, tol: float = 1e-10, sketch: int = 16) -> DataFrame:
     """method: gram (exact, by the Gram matrix of the series or, if these are many, of the times), power (a pass a step),
     sketch (16 columns at once, a pass a step until the residual is below tol, 1e-9 at least, of the leading value; an
@@ -99,7 +118,7 @@ def leading_left(columns: DataFrame, method: str = "auto", steps: int = 100, tol
     if method in ("auto", "gram"):
         method = side(columns)
         if method == "times":
-            return _by_times(columns)
+            return _by_rows(rows_of(cells_of(columns)))
     columns = columns.select("ids", "vec")
     ids = active_series(columns)
     if not ids:
@@ -175,11 +194,13 @@ def _added(rows: DataFrame, width: int):
         total = sum(np.frombuffer(x) for x in pdf["x"])
         return pd.DataFrame({"i": [pdf["i"].iloc[0]], "x": [total.tobytes()]})
 
-    found = {r["i"]: np.frombuffer(r["x"]).reshape(-1, width) for r in rows.groupBy("i").applyInPandas(add, "i int, x binary").collect()}
+    with small_batches(rows.sparkSession):
+        found = {r["i"]: np.frombuffer(r["x"]).reshape(-1, width) for r in rows.groupBy("i").applyInPandas(add, "i int, x binary").collect()}
     return np.vstack([found[i] for i in range(len(found))])
 
 
-def _gram(columns: DataFrame, shared):
+def _squared(columns: DataFrame, shared):
+    """The sum of the columns' outer products."""
     import numpy as np
 
     p = len(shared.value)
@@ -195,6 +216,11 @@ def _gram(columns: DataFrame, shared):
     return _summed(columns, make, (p, p))
 
 
+def _gram(columns: DataFrame, shared):
+    """The Gram matrix of the series."""
+    return _squared(columns, shared)
+
+
 def _times(columns: DataFrame, shared, v):
     """M M' v for a thin matrix v that goes to every executor: one pass, no exchange of columns."""
     import numpy as np

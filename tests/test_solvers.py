@@ -6,6 +6,7 @@ import numpy as np
 import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
+from pyspark.sql import functions as F
 
 from groupshift import kernels
 from groupshift.functions import theory, tuning
@@ -261,6 +262,30 @@ def test_gram_of_times_adds_slices(spark, monkeypatch):
     assert [got[i] for i in range(40)] == pytest.approx(list(kernels.leading_left(x)))
 
 
+def test_direction_of_cells_makes_no_column_of_all_series(spark, sf, monkeypatch):
+    """direction_lam0: the rows of the series give the Gram matrix of the times, whole columns are gathered beyond the bound on times only."""
+    from groupshift.plans import registry
+
+    x = np.random.default_rng(6).normal(size=(40, 7))
+    cells = spark.createDataFrame([(i, t, float(x[i, t])) for i in range(40) for t in range(7)], "series_id long, t long, m double").repartition(3)
+    want = list(kernels.leading_left(x))
+    with monkeypatch.context() as few:
+        few.setattr(direction, "GRAM_TIMES", 6)
+        assert [r.v for r in direction.leading_of_cells(cells, 7).orderBy("series_id").collect()] == pytest.approx(want)
+
+    def never(*_):
+        raise MemoryError
+
+    monkeypatch.setattr(direction, "columns_of", never)
+    monkeypatch.setattr(relax, "columns_of", never)
+    monkeypatch.setattr(direction, "SLICE_CELLS", 1)
+    assert [r.v for r in direction.leading_of_cells(cells, 7).orderBy("series_id").collect()] == pytest.approx(want)
+    assert direction.leading_of_cells(cells.where("t < 0"), 7).count() == 0
+    zero = direction.leading_of_cells(cells.withColumn("m", F.lit(0.0)), 7).collect()
+    assert len(zero) == 40 and not any(r.v for r in zero)
+    assert registry.QUERIES["direction_lam0"](spark, sf).count() == 100
+
+
 def test_panels_dealt_to_slices_give_the_same(spark, monkeypatch):
     """e3_planted_suppliers and e6_null_panels beyond the bound on cells: no matrix of the panel, the same points and threshold."""
     from groupshift.operators import wide
