@@ -286,6 +286,21 @@ def test_direction_of_cells_makes_no_column_of_all_series(spark, sf, monkeypatch
     assert registry.QUERIES["direction_lam0"](spark, sf).count() == 100
 
 
+def test_sin_theta_brings_no_side_of_the_series_to_the_driver(spark, sf, monkeypatch):
+    """With many series neither their Gram matrix nor the direction is on the driver; the loss stays."""
+    from groupshift.plans import registry
+
+    want = registry.QUERIES["sin_theta"](spark, sf).first().loss
+
+    def never(*_):
+        raise MemoryError
+
+    monkeypatch.setattr(direction, "GRAM_SERIES", 3)
+    for name in ("_gram", "_oriented"):
+        monkeypatch.setattr(direction, name, never)
+    assert registry.QUERIES["sin_theta"](spark, sf).first().loss == pytest.approx(want, abs=1e-3)
+
+
 def test_panels_dealt_to_slices_give_the_same(spark, monkeypatch):
     """e3_planted_suppliers and e6_null_panels beyond the bound on cells: no matrix of the panel, the same points and threshold."""
     from groupshift.operators import wide
