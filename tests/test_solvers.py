@@ -301,6 +301,23 @@ def test_sin_theta_brings_no_side_of_the_series_to_the_driver(spark, sf, monkeyp
     assert registry.QUERIES["sin_theta"](spark, sf).first().loss == pytest.approx(want, abs=1e-3)
 
 
+def test_componentwise_of_series_that_never_vary(spark, sf, tmp_path):
+    """Where all times tie b_componentwise has the earliest, as its SQL has on one thread; on several threads the SQL does not repeat its choice."""
+    import duckdb
+
+    from groupshift.plans import registry
+
+    with duckdb.connect() as c:
+        c.sql("SET threads = 1")
+        c.sql(f"COPY (FROM '{sf}/lineitem.parquet' WHERE l_suppkey BETWEEN 10 AND 49) TO '{tmp_path}/lineitem.parquet'")
+        c.sql(f"COPY (FROM '{sf}/supplier.parquet') TO '{tmp_path}/supplier.parquet'")
+        for name in ("lineitem", "supplier"):
+            c.sql(f"CREATE VIEW {name} AS FROM '{tmp_path}/{name}.parquet'")
+        want = sorted(c.sql(registry.ORACLES["b_componentwise"]).fetchall())
+    got = sorted(map(tuple, registry.QUERIES["b_componentwise"](spark, str(tmp_path)).collect()))
+    assert got == want and sum(r[1:] == (1, 0.0) for r in got) == 50
+
+
 def test_panels_dealt_to_slices_give_the_same(spark, monkeypatch):
     """e3_planted_suppliers and e6_null_panels beyond the bound on cells: no matrix of the panel, the same points and threshold."""
     from groupshift.operators import wide
