@@ -12,10 +12,10 @@ from groupshift.sources.work import small_batches, work_table
 
 from .relax import columns_of
 
-#: Up to so many active series the Gram matrix of the series goes to the driver: 128 MB of doubles.
-GRAM_SERIES = 4096
-#: With more series than that, up to so many times the Gram matrix of the times does: 32 MB.
+#: Up to so many active series the Gram matrix of the series goes to the driver, or else up to so many times that of the times: 32 MB of doubles.
 GRAM_TIMES = 2048
+#: With more of both, up to so many active series their Gram matrix does: 128 MB, and several times that while it comes and is solved.
+GRAM_SERIES = 4096
 #: Least cells of the slices of series whose Gram matrices are added up; a slice is never smaller than the matrix.
 SLICE_CELLS = 500_000
 
@@ -35,10 +35,16 @@ def stored(columns: DataFrame) -> DataFrame:
 
 
 def side(columns: DataFrame) -> str:
-    """The side whose Gram matrix is small enough for the driver: series, else times, else neither and the answer is sketch."""
-    if columns.select(F.explode("ids")).distinct().count() <= GRAM_SERIES:
+    """The side whose Gram matrix is small enough for the driver: series, else times, else neither and the answer is sketch.
+
+    Series that only GRAM_SERIES allows are last: where there are few times, their smaller matrix is taken.
+    """
+    p = columns.select(F.explode("ids")).distinct().count()
+    if p <= min(GRAM_TIMES, GRAM_SERIES):
         return "series"
-    return "times" if columns.count() <= GRAM_TIMES else "sketch"
+    if columns.count() <= GRAM_TIMES:
+        return "times"
+    return "series" if p <= GRAM_SERIES else "sketch"
 
 
 def cells_of(columns: DataFrame) -> DataFrame:

@@ -301,6 +301,32 @@ def test_sin_theta_brings_no_side_of_the_series_to_the_driver(spark, sf, monkeyp
     assert registry.QUERIES["sin_theta"](spark, sf).first().loss == pytest.approx(want, abs=1e-3)
 
 
+def test_few_times_spare_the_driver_a_matrix_of_more_series(spark, monkeypatch):
+    """sin_theta: series between the two bounds go by the times, if these are few; the loss is that of the SQL."""
+    import duckdb
+
+    from groupshift.operators import direction, relax
+    from groupshift.plans import registry
+
+    x = np.random.default_rng(7).normal(size=(40, 9))
+    cells = spark.createDataFrame([(i, t, float(x[i, t])) for i in range(40) for t in range(9)], "series_id long, t long, cusum double")
+    sides = [direction.side(relax.columns_of(cells)) for times in (40, 39, 9, 8) if not monkeypatch.setattr(direction, "GRAM_TIMES", times)]
+    assert sides == ["series", "times", "times", "series"]
+
+    def never(*_):
+        raise MemoryError
+
+    for name in ("_gram", "_oriented"):
+        monkeypatch.setattr(direction, name, never)
+    monkeypatch.setattr(direction, "GRAM_TIMES", 400)
+    sf = "/root/testdata/sf0.1"  # 480 active series, 355 times
+    with duckdb.connect() as c:
+        for name in ("lineitem", "supplier"):
+            c.sql(f"CREATE VIEW {name} AS FROM '{sf}/{name}.parquet'")
+        want = c.sql(registry.ORACLES["sin_theta"]).fetchall()
+    assert list(map(tuple, registry.QUERIES["sin_theta"](spark, sf).collect())) == want
+
+
 def test_componentwise_of_series_that_never_vary(spark, sf, tmp_path):
     """Where all times tie b_componentwise has the earliest, as its SQL has on one thread; on several threads the SQL does not repeat its choice."""
     import duckdb
