@@ -344,6 +344,24 @@ def test_componentwise_of_series_that_never_vary(spark, sf, tmp_path):
     assert got == want and sum(r[1:] == (1, 0.0) for r in got) == 50
 
 
+def test_cusum_of_repeated_keys(spark, sf, tmp_path):
+    """b_componentwise, cusum_blocked: a supplier that is given twice has each time twice, and sums take both rows of a time, as in SQL."""
+    import duckdb
+
+    from groupshift.plans import registry
+
+    with duckdb.connect() as c:
+        c.sql(f"COPY (FROM '{sf}/lineitem.parquet' WHERE l_suppkey < 30) TO '{tmp_path}/lineitem.parquet'")
+        c.sql(f"COPY (FROM '{sf}/supplier.parquet' WHERE s_suppkey < 30 UNION ALL FROM '{sf}/supplier.parquet' WHERE s_suppkey IN (3, 25)) TO '{tmp_path}/supplier.parquet'")
+        for name in ("lineitem", "supplier"):
+            c.sql(f"CREATE VIEW {name} AS FROM '{tmp_path}/{name}.parquet'")
+        for name in ("b_componentwise", "cusum_blocked"):
+            want = sorted(c.sql(registry.ORACLES[name]).fetchall())
+            got = sorted(map(tuple, registry.QUERIES[name](spark, str(tmp_path)).collect()))
+            assert len(got) == len(want) == (30 if name == "b_componentwise" else 32 * 355)
+            assert all(a[:2] == b[:2] and a[2] == pytest.approx(b[2], abs=2e-6) for a, b in zip(got, want, strict=True)), name
+
+
 def test_panels_dealt_to_slices_give_the_same(spark, monkeypatch):
     """e3_planted_suppliers and e6_null_panels beyond the bound on cells: no matrix of the panel, the same points and threshold."""
     from groupshift.operators import wide
