@@ -1,6 +1,7 @@
 """Solvers, directions and interval modes against each other, and the inequalities that hold for any input."""
 
 import math
+import re
 
 import numpy as np
 import pytest
@@ -384,3 +385,26 @@ def test_panels_dealt_to_slices_give_the_same(spark, monkeypatch):
     assert other == pytest.approx(xi) and len(got) == len(want) == 20
     for a, b in zip(got, want, strict=True):
         assert (key(a), a.z_true, a.z_hat) == (key(b), b.z_true, b.z_hat) and a.stat == pytest.approx(b.stat)
+
+
+def test_norm_of_a_long_group_is_taken_once(spark):
+    """e6_null_panels: no lambda over a block's entries holds a fold of the whole block, whose cost is the square of the group's size; values as by the kernels."""
+    p, n, lam = 1500, 6, 1.2
+    x = np.random.default_rng(3).normal(size=(p, n)) * np.linspace(0.5, 2.5, n)
+    groups = spark.createDataFrame([(int(i >= 1200), i + 1) for i in range(p)], "group_id long, series_id long")
+    c = panel_of(spark, x).withColumnRenamed("x", "cusum")
+    want = kernels.block_shrink(x, [np.arange(1200), np.arange(1200, p)], lam)
+    columns = single.solved(c, groups, lam, "closed", True)
+    long = relax.block_shrink(c, groups, lam)
+    assert (want == 0).any() and want.any()
+    for df, cells in ((columns, relax.to_long(columns)), (long, long)):
+        plan = df._jdf.queryExecution().optimizedPlan().toString()
+        bodies = [plan[m.end() :] for m in re.finditer(r"lambdafunction\(", plan)]
+        assert bodies
+        for body in bodies:
+            depth, end = 1, 0
+            while depth:
+                depth += {"(": 1, ")": -1}.get(body[end], 0)
+                end += 1
+            assert "aggregate(" not in body[:end]
+        assert matrix_of(cells, p, n) == pytest.approx(want, abs=1e-12)
