@@ -12,11 +12,14 @@ from groupshift import kernels
 from . import relax
 from . import cusum as cu
 from . import wide
+from .direction import GRAM_TIMES
 from .intervals import draw_intervals
 from .single import level
 
 #: Up to so many cells a panel goes to every executor whole (160 MB of doubles), and each interval is one row of work.
 REPLICATED_CELLS = 20_000_000
+#: Up to so many cells it does where its times are permuted; with more, and few times, it is dealt to slices if the detector has that form.
+PERMUTED_CELLS = 2_000_000
 CANDIDATE = "q int, s long, e long, b long, stat double"
 #: Statistics of the distributed mode: directions by power steps, and curves over whole columns.
 DIRECTIONS, CURVES = ("gsp", "gsp_columnwise", "sparse_projection"), ("l2", "linf", "double_cusum", "scan", "sparsified")
@@ -233,11 +236,13 @@ def xi_permuted(panel: DataFrame, groups: DataFrame, lam: float | None = None, r
     """The same over joint permutations of a panel's times, which keep what series share at a time and undo any change.
 
     A panel beyond REPLICATED_CELLS is dealt to slices of series, for the detectors of wide.METHODS; gsp needs disjoint groups there.
+    One of at most GRAM_TIMES times is from PERMUTED_CELLS on, where that is possible.
     """
     lam, disjoint, n = level(panel, groups, lam)
     spark = panel.sparkSession
     largest = F.max("stat") if quantile is None else F.percentile("stat", F.lit(quantile))
-    if panel.count() > REPLICATED_CELLS:
+    sliced = stat in wide.METHODS and (stat != "gsp" or disjoint) and n <= GRAM_TIMES
+    if panel.count() > (min(PERMUTED_CELLS, REPLICATED_CELLS) if sliced else REPLICATED_CELLS):
         if stat == "gsp" and not disjoint:
             raise ValueError("a panel dealt to slices has no gsp for overlapping groups")
         orders = [(_order(seed, r, n), None, (), 0.0) for r in range(reps)]

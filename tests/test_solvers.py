@@ -408,3 +408,14 @@ def test_norm_of_a_long_group_is_taken_once(spark):
                 end += 1
             assert "aggregate(" not in body[:end]
         assert matrix_of(cells, p, n) == pytest.approx(want, abs=1e-12)
+
+
+def test_permuted_panels_below_the_bound_stay_off_the_driver(spark, monkeypatch):
+    """e6_null_panels: from PERMUTED_CELLS on no matrix of the panel is made, and the threshold is the same; overlapping groups still go whole."""
+    panel = panel_of(spark, np.random.default_rng(9).normal(size=(12, 10)))
+    apart, over = gr.blocks(spark, 12, 4, first=1), gr.windows(spark, 12, 6, 3, first=1)
+    want = [multi.xi_permuted(panel, g, reps=4) for g in (apart, over)]
+    monkeypatch.setattr(multi, "PERMUTED_CELLS", 20)
+    assert multi.xi_permuted(panel, over, reps=4) == pytest.approx(want[1])
+    monkeypatch.setattr(multi, "as_matrix", None)
+    assert multi.xi_permuted(panel, apart, reps=4) == pytest.approx(want[0])
